@@ -7,10 +7,9 @@ word with the least ``ln c - r * (t - b + 1)`` is the sample, together with its
 ``t``.  Two documents share a sample with the probability of their generalised
 Jaccard similarity, the sum of the lesser weights over that of the greater ones.
 
-The gamma quantiles stand in tables of ``2 ** TABLE_BITS`` steps, made from the
-distribution function, so that a draw is one hash and two look-ups.  Everything is
-DataFrame expressions: a text's words are sorted in the row, equal neighbours are
-counted by one pattern, and the samples are minima of 64-bit numbers that an
+A gamma(2, 1) variate is minus the logarithm of the product of two uniform ones,
+which are bits of a hash.  Everything is DataFrame expressions: a text's words are sorted by their 64-bit hash in the row, where equal
+neighbours are counted, and the samples are minima of 64-bit numbers that an
 aggregation by row combines before the shuffle.
 
 Null texts count as empty; a text without words has the fingerprint of no
@@ -21,44 +20,35 @@ that are equal in doc_id, text and follower are answered once.
 
 from __future__ import annotations
 
-import math
-
 from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from dgprop.llm.common import SPACES, WORD_GAP, documents, parts_for, save, text_rows
 
-SAMPLES = 32
-TABLE_BITS = 12
+SAMPLES = 16
 #: Rows of one bucket of the order by doc_id, about.
 BUCKET_ROWS = 2_000
 #: Ranges of doc_id that are found by quantiles; each is cut evenly further.
 MOST_RANGES = 200
 
 
-def gamma_quantiles(bits: int = TABLE_BITS) -> list[float]:
-    """Quantiles of gamma(2, 1) at the middle of each of ``2 ** bits`` steps.
+def _uniform(bits: Column, first: int, n: int) -> Column:
+    """The middle of one of ``2 ** n`` steps between 0 and 1, from ``n`` of the 64 bits."""
+    return (F.shiftrightunsigned(bits, first).bitwiseAND(F.lit((1 << n) - 1)) + 0.5) * (0.5**n)
 
-    The distribution function is 1 - (1 + x) exp(-x); it is inverted by Newton's method.
-    """
-    n, x, out = 1 << bits, 0.0, []
-    for i in range(n):
-        p = (i + 0.5) / n
-        x = x or math.sqrt(2 * p)
-        for _ in range(60):
-            step = (1 - (1 + x) * math.exp(-x) - p) / (x * math.exp(-x))
-            x = max(x - step, x / 2)
-            if abs(step) < 1e-13 * x:
-                break
-        out.append(x)
-    return out
-
-
-def bag_of_words(text: Column) -> Column:
-    """The text's words in order, equal ones together in one string with single spaces."""
-    sorted_words = F.array_join(F.array_sort(F.split(F.btrim(text, F.lit(SPACES)), WORD_GAP)), " ")
-    # Possessive, so that many repetitions need no stack.
-    return F.regexp_extract_all(sorted_words, F.lit("([^ ]++)(?: \\1(?![^ ]))*+"), F.lit(0))
+
+def with_bag(rows: DataFrame) -> DataFrame:
+    """Add ``bag``: the hash and the count of each word of the text; without words it is null."""
+    bare = F.btrim("text", F.lit(SPACES))
+    words = F.when(bare != "", F.split(bare, WORD_GAP))
+    rows = rows.withColumn("sorted", F.sort_array(F.transform(words, lambda w: F.xxhash64(w))))
+    before = F.concat(F.array(F.lit(None).cast("bigint")), F.slice("sorted", 1, F.size("sorted") - 1))
+    marked = F.zip_with(before, F.col("sorted"), lambda a, b: F.struct(b.alias("h"), (~a.eqNullSafe(b)).alias("first")))
+    firsts = F.filter(F.transform(marked, lambda x, i: F.struct(x["h"].alias("h"), x["first"].alias("first"), i.alias("i"))), lambda x: x["first"])
+    rows = rows.withColumn("firsts", firsts)
+    ends = F.concat(F.slice(F.transform("firsts", lambda x: x["i"]), 2, F.size("firsts") - 1), F.array(F.size("sorted")))
+    bag = F.zip_with(F.col("firsts"), ends, lambda x, end: F.struct(x["h"].alias("term"), (end - x["i"]).alias("n")))
+    return rows.withColumn("bag", F.when(F.size("sorted") > 0, bag)).drop("sorted", "firsts")
 
 
 def signatures(rows: DataFrame, keys: list[str], n_samples: int = SAMPLES) -> DataFrame:
@@ -66,20 +56,14 @@ def signatures(rows: DataFrame, keys: list[str], n_samples: int = SAMPLES) -> Da
 
     The keys have to tell texts apart; the aggregation is by them.
     """
-    table = gamma_quantiles()
-    mask = (1 << TABLE_BITS) - 1
-    r_table, c_table = F.array(*[F.lit(x) for x in table]), F.array(*[F.lit(math.log(x)) for x in table])
-    bag = F.when(F.btrim("text", F.lit(SPACES)) != "", bag_of_words(F.col("text")))
-    runs = rows.select(*keys, F.explode_outer(bag).alias("run"))
-    word = F.substring_index("run", " ", 1)
-    # A run of n words has n * (length + 1) - 1 characters.
-    terms = runs.select(*keys, F.xxhash64(word).alias("term"), F.log((F.length("run") + 1) / (F.length(word) + 1)).alias("ln_weight"))
+    terms = with_bag(rows.select(*keys, "text")).select(*keys, F.explode_outer("bag").alias("w"))
+    terms = terms.select(*keys, F.col("w.term").alias("term"), F.log("w.n").alias("ln_weight"))
     least = []
     for k in range(n_samples):
-        draw = F.xxhash64("term", F.lit(k))
-        r = F.get(r_table, draw.bitwiseAND(F.lit(mask)).cast("int"))
-        ln_c = F.get(c_table, F.shiftrightunsigned(draw, TABLE_BITS).bitwiseAND(F.lit(mask)).cast("int"))
-        b = F.shiftrightunsigned(draw, 2 * TABLE_BITS) / float(1 << (64 - 2 * TABLE_BITS))
+        one, two = F.xxhash64("term", F.lit(2 * k)), F.xxhash64("term", F.lit(2 * k + 1))
+        r = -F.log(_uniform(one, 0, 21) * _uniform(one, 21, 21))
+        ln_c = F.log(-F.log(_uniform(two, 0, 32) * _uniform(two, 32, 32)))
+        b = _uniform(one, 42, 22)
         t = F.floor(F.col("ln_weight") / r + b)
         rank = ln_c - r * (t - b + 1)
         # The rank to 2 ** -22 in the upper half, the drawn (term, t) in the lower one.

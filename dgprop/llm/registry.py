@@ -2,11 +2,15 @@
 
 from __future__ import annotations
 
+from dgprop.llm.fingerprints import op4_document_fingerprints
 from dgprop.llm.packing import op7_best_fit_packing
 from dgprop.llm.prefixcounts import op10_prefix_token_counts
+from dgprop.llm.qualityrules import op5_quality_rules
 from dgprop.llm.tokenfiles import op8_token_files
 
 QUERIES = {
+    "op4_document_fingerprints": op4_document_fingerprints,
+    "op5_quality_rules": op5_quality_rules,
     "op7_best_fit_packing": op7_best_fit_packing,
     "op8_token_files": op8_token_files,
     "op10_prefix_token_counts": op10_prefix_token_counts,
