@@ -6,9 +6,11 @@ from dgprop.llm.fingerprints import op4_document_fingerprints
 from dgprop.llm.packing import op7_best_fit_packing
 from dgprop.llm.prefixcounts import op10_prefix_token_counts
 from dgprop.llm.qualityrules import op5_quality_rules
+from dgprop.llm.shinglejoin import op1_ngram_jaccard_join
 from dgprop.llm.tokenfiles import op8_token_files
 
 QUERIES = {
+    "op1_ngram_jaccard_join": op1_ngram_jaccard_join,
     "op4_document_fingerprints": op4_document_fingerprints,
     "op5_quality_rules": op5_quality_rules,
     "op7_best_fit_packing": op7_best_fit_packing,
