@@ -8,6 +8,7 @@ from dgprop.llm.prefixcounts import op10_prefix_token_counts
 from dgprop.llm.qualityrules import op5_quality_rules
 from dgprop.llm.shinglejoin import op1_ngram_jaccard_join
 from dgprop.llm.tokenfiles import op8_token_files
+from dgprop.llm.toxicity import op9_toxicity
 
 QUERIES = {
     "op1_ngram_jaccard_join": op1_ngram_jaccard_join,
@@ -15,6 +16,7 @@ QUERIES = {
     "op5_quality_rules": op5_quality_rules,
     "op7_best_fit_packing": op7_best_fit_packing,
     "op8_token_files": op8_token_files,
+    "op9_toxicity": op9_toxicity,
     "op10_prefix_token_counts": op10_prefix_token_counts,
 }
 
