@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+from dgprop.llm.contexttree import op3_context_tree_score
 from dgprop.llm.fingerprints import op4_document_fingerprints
 from dgprop.llm.packing import op7_best_fit_packing
 from dgprop.llm.prefixcounts import op10_prefix_token_counts
@@ -12,6 +13,7 @@ from dgprop.llm.toxicity import op9_toxicity
 
 QUERIES = {
     "op1_ngram_jaccard_join": op1_ngram_jaccard_join,
+    "op3_context_tree_score": op3_context_tree_score,
     "op4_document_fingerprints": op4_document_fingerprints,
     "op5_quality_rules": op5_quality_rules,
     "op7_best_fit_packing": op7_best_fit_packing,
