@@ -25,11 +25,13 @@ from pyspark.sql import functions as F
 
 from dgprop.llm.common import SPACES, WORD_GAP, documents, parts_for, save, text_rows
 
-SAMPLES = 16
+SAMPLES = 24
 #: Rows of one bucket of the order by doc_id, about.
 BUCKET_ROWS = 2_000
 #: Ranges of doc_id that are found by quantiles; each is cut evenly further.
 MOST_RANGES = 200
+#: Rows of three numbers that are broadcast at most; beyond it they are shuffled.
+MOST_BROADCAST = 200_000
 
 
 def _uniform(bits: Column, first: int, n: int) -> Column:
@@ -122,7 +124,9 @@ def with_next(docs: DataFrame) -> DataFrame:
         ring = ring.withColumn("up", F.lead("bucket").over(inner)).join(F.broadcast(firsts.select("range", "after")), "range")
         heads = ring.select(F.col("head_id").alias("doc_id"), F.col("bucket").alias("own"), F.coalesce("up", "after", F.lit(lowest)).alias("bucket"))
     # One text follows each bucket; of equal ids the first in the order below.
-    tops = placed.withColumnRenamed("bucket", "own").join(heads, ["doc_id", "own"]).groupBy("bucket", "doc_id").agg(F.max("text").alias("text"))
+    n_heads = heads.count()
+    few = F.broadcast(heads) if n_heads <= MOST_BROADCAST else heads
+    tops = placed.withColumnRenamed("bucket", "own").join(few, ["doc_id", "own"]).groupBy("bucket", "doc_id").agg(F.max("text").alias("text"))
     ghosts = tops.select("doc_id", "text", "bucket", F.lit(1).alias("ghost"))
     ring = placed.select("doc_id", "text", "bucket", F.lit(0).alias("ghost")).unionByName(ghosts)
     down = Window.partitionBy("bucket").orderBy("ghost", F.desc("doc_id"), F.desc("text"))

@@ -5,6 +5,7 @@ from __future__ import annotations
 from dgprop.llm.contexttree import op3_context_tree_score
 from dgprop.llm.fingerprints import op4_document_fingerprints
 from dgprop.llm.packing import op7_best_fit_packing
+from dgprop.llm.personaldata import op6_personal_data
 from dgprop.llm.prefixcounts import op10_prefix_token_counts
 from dgprop.llm.qualityrules import op5_quality_rules
 from dgprop.llm.shinglejoin import op1_ngram_jaccard_join
@@ -16,6 +17,7 @@ QUERIES = {
     "op3_context_tree_score": op3_context_tree_score,
     "op4_document_fingerprints": op4_document_fingerprints,
     "op5_quality_rules": op5_quality_rules,
+    "op6_personal_data": op6_personal_data,
     "op7_best_fit_packing": op7_best_fit_packing,
     "op8_token_files": op8_token_files,
     "op9_toxicity": op9_toxicity,

@@ -258,14 +258,14 @@ def linked_components(docs: DataFrame) -> DataFrame:
 
     # Shingles in whose lists two groups meet, then these lists.
     met = postings(docs, levels).groupBy("h").agg(F.min("grp").alias("x"), F.max("grp").alias("y")).filter("x <> y").select("h")
-    place_bits = min(28, max(17, math.ceil(math.log2(n_docs)) + 6))
+    place_bits = min(28, max(17, math.ceil(math.log2(n_docs)) + 8))
     wanted = context.broadcast(membership(met, "h", place_bits))
     lists = save(postings(docs, levels, wanted).groupBy("h", "grp").agg(F.min("n").alias("n"), F.min("pos").alias("pos")), "join-lists")
 
     # First round: each group with the one met most often under the shingle, each member with the first of its group.
     many = F.col("groups") > 1
     sizes = lists.groupBy("h").agg(F.count("*").alias("groups")).filter(many)
-    busy = lists.join(sizes, "h")
+    busy = save(lists.join(sizes, "h"), "join-busy")
     weight = busy.groupBy("grp").agg(F.sum("groups").alias("meets"))
     best = busy.join(weight, "grp").groupBy("h").agg(F.max(F.struct("meets", "grp", "n", "pos")).alias("top")).select("h", "top.grp", "top.n", "top.pos")
     stars = lists.alias("p").join(best.alias("q"), "h").filter((F.col("p.grp") != F.col("q.grp")) & possible("p", "q")).select(F.col("p.grp").alias("g1"), F.col("q.grp").alias("g2")).distinct()
