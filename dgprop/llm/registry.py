@@ -4,6 +4,7 @@ from __future__ import annotations
 
 from dgprop.llm.contexttree import op3_context_tree_score
 from dgprop.llm.fingerprints import op4_document_fingerprints
+from dgprop.llm.mixing import op2_source_mixing
 from dgprop.llm.packing import op7_best_fit_packing
 from dgprop.llm.personaldata import op6_personal_data
 from dgprop.llm.prefixcounts import op10_prefix_token_counts
@@ -14,6 +15,7 @@ from dgprop.llm.toxicity import op9_toxicity
 
 QUERIES = {
     "op1_ngram_jaccard_join": op1_ngram_jaccard_join,
+    "op2_source_mixing": op2_source_mixing,
     "op3_context_tree_score": op3_context_tree_score,
     "op4_document_fingerprints": op4_document_fingerprints,
     "op5_quality_rules": op5_quality_rules,
