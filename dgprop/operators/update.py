@@ -52,10 +52,10 @@ def repair_pull(state: DataFrame, edges_after: DataFrame, touched: DataFrame, fe
     """The same from the touched nodes' present neighbours; it also takes away rounding that has built up."""
     ys = cells("y", specs, dim)
     mine = edges_after.join(touched.select(F.col("node").alias("src")), "src", "left_semi")
-    d = mine.groupBy(F.col("src").alias("node")).agg(F.sum("w").alias("d"))
+    d = mine.groupBy(F.col("src").alias("node")).agg(F.sum("w").alias("d_now"))
     sums = mine.join(state.select(F.col("node").alias("dst"), *ys), "dst").groupBy(F.col("src").alias("node")).agg(*[F.sum(F.col("w") * F.col(y)).alias("n" + y[1:]) for y in ys])
     t = state.join(touched.select("node", F.lit(True).alias("_hit")).distinct(), "node", "left").join(d, "node", "left").join(sums, "node", "left").join(features, "node")
-    new_d = F.when(F.col("_hit"), F.coalesce(F.when(F.col("d") > 1e-12, F.col("d")), F.lit(1.0))).otherwise(F.col("D"))
+    new_d = F.when(F.col("_hit"), F.coalesce(F.when(F.col("d_now") > 1e-12, F.col("d_now")), F.lit(1.0))).otherwise(F.col("D"))
     t = t.withColumn("D_new", new_d)
     out = []
     for s, spec in enumerate(specs):
