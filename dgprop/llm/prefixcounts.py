@@ -35,7 +35,7 @@ _COMPOSITE = re.compile(r"\s*\S+|\s+")
 class PrefixCounter(PieceTable):
     """Tokens are numbered in the order in which merging makes them, single bytes first."""
 
-    def __init__(self, path: str, remembered: int = REMEMBERED) -> None:
+    def __init__(self, path: str, remembered: int = 2 * REMEMBERED) -> None:
         super().__init__(path, remembered)
         merges = [tuple(m.split(" ")) if isinstance(m, str) else tuple(m) for m in self.spec["model"]["merges"]]
         made = {a + b for a, b in merges}

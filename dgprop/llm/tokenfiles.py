@@ -46,9 +46,13 @@ def _map(store: fs.FileSystem, path: str, kind: str) -> np.ndarray:
         return np.frombuffer(f.read(), kind)
 
 
-def write_token_files(docs: DataFrame, folder: str, vocabulary: str, end_id: int, partitions: int | None = None, width: int = 4) -> DataFrame:
-    """Write the files; return the table of parts with ``base``, the ids before each part."""
+def write_token_files(docs: DataFrame, folder: str, vocabulary: str, end_id: int, partitions: int | None = None, width: int | None = None) -> DataFrame:
+    """Write the files; return the table of parts with ``base``, the ids before each part.
+
+    ``width`` is the bytes of an id, 2 or 4; by default 2 if the vocabulary's ids fit.
+    """
     spark = docs.sparkSession
+    width = width or id_width(vocabulary, end_id)
     kind = {2: "<u2", 4: "<u4"}[width]
     end = end_id.to_bytes(4, "little")
 
@@ -88,7 +92,11 @@ def write_token_files(docs: DataFrame, folder: str, vocabulary: str, end_id: int
     return spark.read.schema(schema).parquet(f"{folder}/parts")
 
 
-def read_token_files(spark: SparkSession, folder: str, width: int = 4) -> DataFrame:
+def id_width(vocabulary: str, end_id: int) -> int:
+    return 2 if max(encoder(vocabulary).tokenizer.get_vocab_size(with_added_tokens=True) - 1, end_id) <= 0xFFFF else 4
+
+
+def read_token_files(spark: SparkSession, folder: str, width: int) -> DataFrame:
     """doc_id, start (ids of all documents before it), n_tokens and ids of every document."""
     kind = {2: "<u2", 4: "<u4"}[width]
 
@@ -118,6 +126,7 @@ def op8_token_files(spark: SparkSession, sf_dir: str) -> DataFrame:
     import public_tokenizers
 
     folder = new_folder(spark, "token-files")
-    write_token_files(documents(spark, sf_dir), folder, public_tokenizers.path("byte_bpe_50k.json"), end_id=0)
+    vocabulary = public_tokenizers.path("byte_bpe_50k.json")
+    write_token_files(documents(spark, sf_dir), folder, vocabulary, end_id=0)
     # Spark's crc32 is the unsigned one, of the little-endian 32-bit ids.
-    return read_token_files(spark, folder).select("doc_id", "start", "n_tokens", F.crc32("ids").alias("ids_crc32"))
+    return read_token_files(spark, folder, id_width(vocabulary, 0)).select("doc_id", "start", "n_tokens", F.crc32("ids").alias("ids_crc32"))

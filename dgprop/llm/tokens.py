@@ -19,7 +19,7 @@ import numpy as np
 import regex
 
 #: Pieces that a worker remembers; beyond it, pieces live for one call only.
-REMEMBERED = 900_000
+REMEMBERED = 450_000
 #: A longer piece is never remembered.
 LONGEST_REMEMBERED = 64
 
@@ -77,11 +77,14 @@ class PieceTable:
         self.spec = spec
         self.pattern = self._pattern(spec)
         self.normalizer = self.tokenizer.normalizer
+        # Below the foreign characters there is nothing to compose, and white space splits anyway.
+        steps = [n.get("type") for n in (spec.get("normalizer") or {}).get("normalizers", [])]
+        self.lowers = steps == ["NFC", "Replace", "Lowercase"] and spec["normalizer"]["normalizers"][1]["pattern"] == {"Regex": "\\s+"}
         specials = [regex.escape(t["content"]) for t in spec.get("added_tokens", [])]
         self.special = regex.compile("|".join(specials)) if specials else None
         self.spaced = self.pattern is not None and self.pattern.pattern == _BYTE_LEVEL
         self.model = self.tokenizer.model
-        self.values = _Memo(self.value_of, remembered // 2)
+        self.values = _Memo(self.value_of, remembered // 4)
         self.runs = _Memo(self.value_of_run, remembered)
 
     @staticmethod
@@ -109,7 +112,9 @@ class PieceTable:
         for c in _CONTROLS:
             if c in text:
                 return None
-        if self.normalizer is not None:
+        if self.lowers:
+            text = text.lower()
+        elif self.normalizer is not None:
             text = self.normalizer.normalize_str(text)
         return _RUNS.findall(text) if self.spaced else text.split()
 
