@@ -39,6 +39,8 @@ WIDTH = 5
 #: Similarity as a fraction; 4/5 is 0.8.
 OVER, UNDER = 4, 5
 _BLOCK_BITS = 14
+#: Shingles of a group that the first round looks at.
+FIRST_LOOK = 6
 
 
 def prefix_length(n: int) -> int:
@@ -168,7 +170,10 @@ def set_rows(docs: DataFrame, levels) -> DataFrame:
 
 
 def postings(docs: DataFrame, levels, wanted=None) -> DataFrame:
-    """h, grp, n, pos: a group's prefix, once for each task; only shingles that ``wanted`` may hold."""
+    """h, grp, n, pos, early: a group's prefix, once for each task; only shingles that ``wanted`` may hold.
+
+    ``early`` counts the shingles that are left, from rare to frequent.
+    """
 
     def work(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         order, seen = _Ordered(levels.value), set()
@@ -195,11 +200,12 @@ def postings(docs: DataFrame, levels, wanted=None) -> DataFrame:
                         pa.array(np.repeat(np.array([o[1] for o in out], np.int64), sizes)),
                         pa.array(np.repeat(np.array([o[2] for o in out], np.int32), sizes)),
                         pa.array(np.concatenate([o[3] for o in out]).astype(np.int32)),
+                        pa.array(np.concatenate([np.arange(k) for k in sizes]).astype(np.int32)),
                     ],
-                    ["h", "grp", "n", "pos"],
+                    ["h", "grp", "n", "pos", "early"],
                 )
 
-    return docs.select("text").mapInArrow(work, "h bigint, grp bigint, n int, pos int")
+    return docs.select("text").mapInArrow(work, "h bigint, grp bigint, n int, pos int, early int")
 
 
 def possible(a: str, b: str) -> Column:
@@ -246,42 +252,52 @@ def sets_of(docs: DataFrame, wanted: DataFrame, bits: int) -> DataFrame:
     return wanted.join(made, "doc").select("node", "cells")
 
 
+def ends_of(pairs: DataFrame, nodes: DataFrame) -> DataFrame:
+    """node and doc of the nodes in pairs (a, b)."""
+    ends = pairs.select(F.col("a").alias("node")).union(pairs.select(F.col("b").alias("node"))).distinct()
+    return nodes.join(ends, "node", "left_semi").select("node", "doc")
+
+
 def linked_components(docs: DataFrame) -> DataFrame:
     """doc_id, n_shingles and component_id, the least doc_id that links reach."""
     spark = docs.sparkSession
     context = spark.sparkContext
     n_docs = max(2, docs.count())
-    bits = min(24, max(_BLOCK_BITS, math.ceil(math.log2(n_docs)) + 2))
+    bits = min(24, max(_BLOCK_BITS, math.ceil(math.log2(n_docs)) + 1))
     levels = context.broadcast(frequency_levels(docs, bits))
     rows = save(set_rows(docs, levels), "join-rows")
     nodes = save(rows.filter("n_shingles > 0").groupBy("node").agg(F.min("doc_id").alias("doc"), F.min("grp").alias("grp"), F.min("n_shingles").cast("int").alias("n")), "join-nodes")
 
     # Shingles in whose lists two groups meet, then these lists.
     met = postings(docs, levels).groupBy("h").agg(F.min("grp").alias("x"), F.max("grp").alias("y")).filter("x <> y").select("h")
+    met = save(met, "join-met")
     place_bits = min(28, max(17, math.ceil(math.log2(n_docs)) + 8))
     wanted = context.broadcast(membership(met, "h", place_bits))
-    lists = save(postings(docs, levels, wanted).groupBy("h", "grp").agg(F.min("n").alias("n"), F.min("pos").alias("pos")), "join-lists")
-
-    # First round: each group with the one met most often under the shingle, each member with the first of its group.
-    many = F.col("groups") > 1
-    sizes = lists.groupBy("h").agg(F.count("*").alias("groups")).filter(many)
-    busy = save(lists.join(sizes, "h"), "join-busy")
+    lists = postings(docs, levels, wanted).groupBy("h", "grp").agg(F.min("n").alias("n"), F.min("pos").alias("pos"), F.min("early").alias("early"))
+    lists = save(lists.join(met, "h", "left_semi"), "join-lists")
+
+    # First round: each group with one that is met often, each member with the first of its group.
+    # It looks at a few of a group's shingles only; the second round has all of them.
+    first_lists = save(lists.filter(F.col("early") < FIRST_LOOK).drop("early"), "join-first")
+    sizes = first_lists.groupBy("h").agg(F.count("*").alias("groups")).filter("groups > 1")
+    busy = save(first_lists.join(sizes, "h"), "join-busy")
     weight = busy.groupBy("grp").agg(F.sum("groups").alias("meets"))
     best = busy.join(weight, "grp").groupBy("h").agg(F.max(F.struct("meets", "grp", "n", "pos")).alias("top")).select("h", "top.grp", "top.n", "top.pos")
-    stars = lists.alias("p").join(best.alias("q"), "h").filter((F.col("p.grp") != F.col("q.grp")) & possible("p", "q")).select(F.col("p.grp").alias("g1"), F.col("q.grp").alias("g2")).distinct()
+    stars = busy.alias("p").join(best.alias("q"), "h").filter((F.col("p.grp") != F.col("q.grp")) & possible("p", "q")).groupBy(F.col("p.grp").alias("g1"), F.col("q.grp").alias("g2")).count()
+    stars = stars.groupBy("g1").agg(F.max(F.struct("count", "g2")).alias("top")).select("g1", "top.g2")
     heads = nodes.groupBy("grp").agg(F.min("node").alias("head"), F.count("*").alias("members"))
     first = stars.join(heads.select(F.col("grp").alias("g1"), F.col("head").alias("a")), "g1").join(heads.select(F.col("grp").alias("g2"), F.col("head").alias("b")), "g2").select("a", "b")
     own = nodes.join(heads.filter("members > 1"), "grp").filter("node <> head").select(F.col("node").alias("a"), F.col("head").alias("b"))
     pairs = save(first.union(own).select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct(), "join-pairs")
 
-    in_play = nodes.join(busy.select("grp").union(heads.filter("members > 1").select("grp")).distinct(), "grp", "left_semi")
-    sets = save(sets_of(docs, in_play.select("node", "doc"), place_bits), "join-sets")
+    sets = save(sets_of(docs, ends_of(pairs, nodes), place_bits), "join-sets")
     links = save(verified(pairs, sets), "join-links")
     roots = components(links)
 
     # Second round: members under a shingle, or of a group, that are in different components.
+    in_play = nodes.join(lists.select("grp").union(heads.filter("members > 1").select("grp")).distinct(), "grp", "left_semi")
     part = in_play.join(roots.withColumnRenamed("root", "part"), "node", "left").withColumn("part", F.coalesce("part", "node"))
-    spread = busy.select("h", "grp", "n", "pos").join(part.select("grp", "node", "part"), "grp")
+    spread = lists.select("h", "grp", "n", "pos").join(part.select("grp", "node", "part"), "grp")
     inside = part.join(heads.filter("members > 1"), "grp", "left_semi").select("grp", F.col("grp").alias("h"), "n", F.lit(0).alias("pos"), "node", "part")
     members = save(spread.select("h", "n", "pos", "node", "part").unionByName(inside.select("h", "n", "pos", "node", "part")), "join-members")
     mixed = members.groupBy("h").agg(F.min("part").alias("x"), F.max("part").alias("y")).filter("x <> y").select("h")
@@ -289,6 +305,8 @@ def linked_components(docs: DataFrame) -> DataFrame:
     p, q = still.alias("p"), still.alias("q")
     across = p.join(q, (F.col("p.h") == F.col("q.h")) & (F.col("p.node") < F.col("q.node")) & (F.col("p.part") != F.col("q.part")) & possible("p", "q"))
     rest = save(across.select(F.col("p.node").alias("a"), F.col("q.node").alias("b")).distinct().join(pairs, ["a", "b"], "left_anti"), "join-rest")
+    others = ends_of(rest, nodes).join(sets.select("node"), "node", "left_anti")
+    sets = sets.unionByName(save(sets_of(docs, others, place_bits), "join-sets"))
     more = save(verified(rest, sets), "join-more")
     roots = components(links.union(more))
 
