@@ -5,7 +5,7 @@ sets of that similarity share one of the first ``size - ceil(0.8 * size) + 1``
 shingles in any common order; here the order is from rare to frequent, by a sketch
 of the shingles' frequencies over all documents.  Documents with equal sizes and
 equal prefixes are collapsed to one group.  Groups that meet under a shingle are
-filtered by size and position, pairs that are left are expanded to their members,
+filtered by size and position, and by parities of the sets; pairs that are left are expanded to their members,
 and members are verified on their whole sets.
 
 What is asked for are components, so a link inside a component that is known
@@ -38,6 +38,8 @@ from dgprop.llm.textblocks import mix, shingle_sets
 WIDTH = 5
 #: Similarity as a fraction; 4/5 is 0.8.
 OVER, UNDER = 4, 5
+PARITIES = 4
+PARITY = [f"parity{i}" for i in range(PARITIES)]
 _BLOCK_BITS = 14
 #: Shingles of a group that the first round looks at.
 FIRST_LOOK = 6
@@ -142,6 +144,16 @@ def _digest(hashes: np.ndarray, n: int, salt: int) -> int:
         return int(mix(np.array([total], np.uint64)).view(np.int64)[0])
 
 
+def parities(s: np.ndarray) -> np.ndarray:
+    """For each of 256 cells whether an odd number of the set's hashes falls in it, as four 64-bit numbers.
+
+    Sets differ in at least as many shingles as these bits differ.
+    """
+    with np.errstate(over="ignore"):
+        cell = (mix(s) >> np.uint64(64 - 8)).astype(np.int64)
+    return np.packbits((np.bincount(cell, minlength=64 * PARITIES) & 1).astype(bool)).view(np.int64)
+
+
 class _Ordered:
     """Sets with their prefixes in the order from rare to frequent."""
 
@@ -154,19 +166,21 @@ class _Ordered:
 
 
 def set_rows(docs: DataFrame, levels) -> DataFrame:
-    """doc_id, n_shingles, node (digest of the set) and grp (digest of size and prefix); nulls without shingles."""
+    """doc_id, n_shingles, node (digest of the set), grp (digest of size and prefix) and the set's parities; nulls without shingles."""
 
     def work(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         order = _Ordered(levels.value)
         for batch in batches:
-            n, node, grp = [], [], []
+            n, node, grp, bits = [], [], [], []
             for s in shingle_sets(batch.column("text"), WIDTH):
                 n.append(len(s))
                 node.append(_digest(s, len(s), 1) if len(s) else None)
                 grp.append(_digest(order.prefix(s), len(s), 2) if len(s) else None)
-            yield pa.RecordBatch.from_arrays([batch.column("doc_id"), *(pa.array(x, pa.int64()) for x in (n, node, grp))], ["doc_id", "n_shingles", "node", "grp"])
+                bits.append(parities(s))
+            parity = np.array(bits, np.int64).reshape(-1, PARITIES)
+            yield pa.RecordBatch.from_arrays([batch.column("doc_id"), *(pa.array(x, pa.int64()) for x in (n, node, grp, *parity.T))], ["doc_id", "n_shingles", "node", "grp", *PARITY])
 
-    return docs.select("doc_id", "text").mapInArrow(work, "doc_id bigint, n_shingles bigint, node bigint, grp bigint")
+    return docs.select("doc_id", "text").mapInArrow(work, "doc_id bigint, n_shingles bigint, node bigint, grp bigint, " + ", ".join(f"{c} bigint" for c in PARITY))
 
 
 def postings(docs: DataFrame, levels, wanted=None) -> DataFrame:
@@ -215,6 +229,12 @@ def possible(a: str, b: str) -> Column:
     return (UNDER * F.least(na, nb) >= OVER * F.greatest(na, nb)) & ((OVER + UNDER) * rest >= OVER * (na + nb))
 
 
+def near_parities(a: str, b: str) -> Column:
+    """Whether the parities leave room for the similarity: sets that are similar differ in few shingles."""
+    apart = sum([F.bit_count(F.col(f"{a}.{c}").bitwiseXOR(F.col(f"{b}.{c}"))) for c in PARITY[1:]], F.bit_count(F.col(f"{a}.{PARITY[0]}").bitwiseXOR(F.col(f"{b}.{PARITY[0]}"))))
+    return (OVER + UNDER) * apart <= (UNDER - OVER) * (F.col(f"{a}.n") + F.col(f"{b}.n"))
+
+
 def verified(pairs: DataFrame, sets: DataFrame) -> DataFrame:
     """The pairs (a, b) of nodes whose whole sets are similar enough."""
 
@@ -266,7 +286,7 @@ def linked_components(docs: DataFrame) -> DataFrame:
     bits = min(24, max(_BLOCK_BITS, math.ceil(math.log2(n_docs)) + 1))
     levels = context.broadcast(frequency_levels(docs, bits))
     rows = save(set_rows(docs, levels), "join-rows")
-    nodes = save(rows.filter("n_shingles > 0").groupBy("node").agg(F.min("doc_id").alias("doc"), F.min("grp").alias("grp"), F.min("n_shingles").cast("int").alias("n")), "join-nodes")
+    nodes = save(rows.filter("n_shingles > 0").groupBy("node").agg(F.min("doc_id").alias("doc"), F.min("grp").alias("grp"), F.min("n_shingles").cast("int").alias("n"), *[F.min(c).alias(c) for c in PARITY]), "join-nodes")
 
     # Shingles in whose lists two groups meet, then these lists.
     met = postings(docs, levels).groupBy("h").agg(F.min("grp").alias("x"), F.max("grp").alias("y")).filter("x <> y").select("h")
@@ -301,9 +321,9 @@ def linked_components(docs: DataFrame) -> DataFrame:
     inside = part.join(heads.filter("members > 1"), "grp", "left_semi").select("grp", F.col("grp").alias("h"), "n", F.lit(0).alias("pos"), "node", "part")
     members = save(spread.select("h", "n", "pos", "node", "part").unionByName(inside.select("h", "n", "pos", "node", "part")), "join-members")
     mixed = members.groupBy("h").agg(F.min("part").alias("x"), F.max("part").alias("y")).filter("x <> y").select("h")
-    still = members.join(mixed, "h")
+    still = save(members.join(mixed, "h").join(nodes.select("node", *PARITY), "node"), "join-still")
     p, q = still.alias("p"), still.alias("q")
-    across = p.join(q, (F.col("p.h") == F.col("q.h")) & (F.col("p.node") < F.col("q.node")) & (F.col("p.part") != F.col("q.part")) & possible("p", "q"))
+    across = p.join(q, (F.col("p.h") == F.col("q.h")) & (F.col("p.node") < F.col("q.node")) & (F.col("p.part") != F.col("q.part")) & possible("p", "q") & near_parities("p", "q"))
     rest = save(across.select(F.col("p.node").alias("a"), F.col("q.node").alias("b")).distinct().join(pairs, ["a", "b"], "left_anti"), "join-rest")
     others = ends_of(rest, nodes).join(sets.select("node"), "node", "left_anti")
     sets = sets.unionByName(save(sets_of(docs, others, place_bits), "join-sets"))
@@ -313,7 +333,7 @@ def linked_components(docs: DataFrame) -> DataFrame:
     least = nodes.join(roots, "node", "left").withColumn("root", F.coalesce("root", "node"))
     by_root = least.groupBy("root").agg(F.min("doc").alias("component_id"))
     known = least.join(by_root, "root").select("node", "component_id")
-    alone = rows.join(known, "node", "left")
+    alone = rows.select("doc_id", "n_shingles", "node").join(known, "node", "left")
     return alone.select("doc_id", "n_shingles", F.coalesce("component_id", "doc_id").alias("component_id"))
 
 
