@@ -25,7 +25,7 @@ from pyspark.sql import functions as F
 
 from dgprop.llm.common import SPACES, WORD_GAP, documents, parts_for, save, text_rows
 
-SAMPLES = 24
+SAMPLES = 16
 #: Rows of one bucket of the order by doc_id, about.
 BUCKET_ROWS = 2_000
 #: Ranges of doc_id that are found by quantiles; each is cut evenly further.
