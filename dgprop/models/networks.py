@@ -131,6 +131,8 @@ class LinkModel:
     d: int
     h: int
     how: str = "concat"
+    #: What changes are multiplied by, so that they are of size 1 in the training rows.
+    scale: float = 1.0
 
     def init(self, seed: int) -> Params:
         rng = np.random.default_rng(seed)
@@ -140,7 +142,7 @@ class LinkModel:
         ends = []
         for side in ("a", "b"):
             x = np.stack([np.stack(list(s)) for s in batch[f"x{side}"]])
-            ends.append(ENCODERS[self.kind][1](p, Var(x), np.stack(batch[f"m{side}"].to_numpy()).astype(float)))
+            ends.append(ENCODERS[self.kind][1](p, Var(x * self.scale), np.stack(batch[f"m{side}"].to_numpy()).astype(float)))
         return dense(p, combine(ends[0], ends[1], self.how), 2)[:, 0]
 
     def loss(self, p: dict[str, Var], batch: pd.DataFrame) -> Var:

@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+from dataclasses import replace
+
 import numpy as np
 import pandas as pd
 from pyspark.sql import DataFrame
@@ -35,6 +37,8 @@ def run(rows: DataFrame, model: LinkModel, epochs: int = 5, rate: float = 0.01,
     columns = ["query_id", "step", "src", "dst", "label", "part", "xa", "ma", "xb", "mb"]
     rows = rows.select(*columns)
     if spread:
+        size = rows.filter("part = 'train'").select(F.explode(F.flatten(F.concat("xa", "xb"))).alias("v")).agg(F.sqrt(F.avg(F.col("v") * F.col("v")))).head()[0]
+        model = replace(model, scale=1 / size if size else 1.0)
         params = fit_partitions(model, rows.filter("part = 'train'"), epochs, rate, seed)
 
         def score(parts):
@@ -49,7 +53,9 @@ def run(rows: DataFrame, model: LinkModel, epochs: int = 5, rate: float = 0.01,
         train, rest = pdf[pdf["part"] == "train"], pdf[pdf["part"] != "train"]
         if not len(train) or not len(rest):
             return rest[columns[:6]].assign(score=0.5)
-        params = fit_rows(model, train, epochs, 256, rate, seed)
-        return rest[columns[:6]].assign(score=np.concatenate([model.scores(params, rest.iloc[k : k + 4096]) for k in range(0, len(rest), 4096)]))
+        size = float(np.sqrt(np.mean([np.mean(np.square(np.stack(list(s)))) for c in ("xa", "xb") for s in train[c]])))
+        scaled = replace(model, scale=1 / size if size else 1.0)
+        params = fit_rows(scaled, train, epochs, 256, rate, seed)
+        return rest[columns[:6]].assign(score=np.concatenate([scaled.scores(params, rest.iloc[k : k + 4096]) for k in range(0, len(rest), 4096)]))
 
     return rows.groupBy(F.lit(0).alias("one")).applyInPandas(both, SCORED)

@@ -8,7 +8,7 @@ from pyspark.sql import DataFrame, SparkSession
 
 from dgprop.workloads.registry import QUERIES, SQL
 
-MODULES = ("graphs", "updates", "relational", "streams")
+MODULES = ("graphs", "updates", "relational", "streams", "learning", "baselines")
 
 
 def load() -> tuple[dict, dict]:
