@@ -226,28 +226,31 @@ def _window(spark: SparkSession, sf_dir: str, **columns) -> DataFrame:
     return EV(spark, sf_dir).select("event_id", *[c.alias(n) for n, c in columns.items()])
 
 
-BY_VALUE, BY_TIME = Window.partitionBy("user_id").orderBy("value"), Window.partitionBy("user_id").orderBy("event_id")
+def by(column: str):
+    return Window.partitionBy("user_id").orderBy(column)
+
+
 _PV, _PT = "(PARTITION BY user_id ORDER BY value)", "(PARTITION BY user_id ORDER BY event_id)"
 
 
 @query(f"SELECT event_id, CAST(row_number() OVER (PARTITION BY user_id ORDER BY value, event_id) AS INTEGER) AS rn, CAST(rank() OVER {_PV} AS INTEGER) AS rk, CAST(dense_rank() OVER {_PV} AS INTEGER) AS dr FROM events")
 def op_win_rank(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return _window(spark, sf_dir, rn=F.row_number().over(Window.partitionBy("user_id").orderBy("value", "event_id")), rk=F.rank().over(BY_VALUE), dr=F.dense_rank().over(BY_VALUE))
+    return _window(spark, sf_dir, rn=F.row_number().over(Window.partitionBy("user_id").orderBy("value", "event_id")), rk=F.rank().over(by("value")), dr=F.dense_rank().over(by("value")))
 
 
 @query(f"SELECT event_id, {sql_r(f'percent_rank() OVER {_PV}')} AS pr FROM events")
 def op_win_percent_rank(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return _window(spark, sf_dir, pr=r(F.percent_rank().over(BY_VALUE)))
+    return _window(spark, sf_dir, pr=r(F.percent_rank().over(by("value"))))
 
 
 @query(f"SELECT event_id, {sql_r(f'value - lag(value) OVER {_PT}')} AS d, {sql_r(f'lead(value) OVER {_PT}')} AS nxt FROM events")
 def op_win_lag_diff(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return _window(spark, sf_dir, d=r(F.col("value") - F.lag("value").over(BY_TIME)), nxt=r(F.lead("value").over(BY_TIME)))
+    return _window(spark, sf_dir, d=r(F.col("value") - F.lag("value").over(by("event_id"))), nxt=r(F.lead("value").over(by("event_id"))))
 
 
 @query(f"SELECT event_id, count(*) OVER (PARTITION BY user_id ORDER BY event_id ROWS UNBOUNDED PRECEDING) AS degree FROM events")
 def op_win_running_degree(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return _window(spark, sf_dir, degree=F.count("*").over(BY_TIME.rowsBetween(Window.unboundedPreceding, 0)))
+    return _window(spark, sf_dir, degree=F.count("*").over(by("event_id").rowsBetween(Window.unboundedPreceding, 0)))
 
 
 @query(f"SELECT event_id, count(*) OVER (PARTITION BY user_id ORDER BY epoch_us(ts) RANGE BETWEEN {7 * q.DAY} PRECEDING AND CURRENT ROW) AS alive FROM events")
@@ -259,12 +262,12 @@ def op_win_range_ttl(spark: SparkSession, sf_dir: str) -> DataFrame:
 @query(f"SELECT event_id, last_value(CASE WHEN event_type = 'click' THEN event_id END IGNORE NULLS) OVER (PARTITION BY user_id ORDER BY event_id ROWS UNBOUNDED PRECEDING) AS last_click FROM events")
 def op_win_last_ignore_nulls(spark: SparkSession, sf_dir: str) -> DataFrame:
     click = F.when(F.col("event_type") == "click", F.col("event_id"))
-    return _window(spark, sf_dir, last_click=F.last(click, ignorenulls=True).over(BY_TIME.rowsBetween(Window.unboundedPreceding, 0)))
+    return _window(spark, sf_dir, last_click=F.last(click, ignorenulls=True).over(by("event_id").rowsBetween(Window.unboundedPreceding, 0)))
 
 
 @query(f"SELECT event_id, CAST(ntile(4) OVER {_PT} AS INTEGER) AS quarter FROM events")
 def op_win_ntile(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return _window(spark, sf_dir, quarter=F.ntile(4).over(BY_TIME))
+    return _window(spark, sf_dir, quarter=F.ntile(4).over(by("event_id")))
 
 
 @query("SELECT c_custkey, c_acctbal FROM customer ORDER BY c_acctbal DESC, c_custkey LIMIT 10")
