@@ -140,7 +140,7 @@ def _log_gamma(x: np.ndarray) -> np.ndarray:
     for k in range(8):
         low += np.log(x + k)
     y = x + 8
-    return (y - 0.5) * np.log(y) - y + 0.5 * np.log(2 * np.pi) + 1 / (12 * y) - 1 / (360 * y**3) + 1 / (1260 * y**5) - low
+    return (y - 0.5) * np.log(y) - y + 0.5 * np.log(2 * np.pi) + 1 / (12 * y) - 1 / (360 * y**3) + 1 / (1260 * y**5) - 1 / (1680 * y**7) - low
 
 
 def log_estimate(n0: np.ndarray, n1: np.ndarray) -> np.ndarray:
