@@ -211,6 +211,36 @@ def auc_metrics(scored: DataFrame) -> DataFrame:
     return M.roc_auc(test).join(M.average_precision(test)).select(r("roc_auc").alias("roc_auc"), r("average_precision").alias("average_precision"))
 
 
+def causal_walk_links(spark: SparkSession, sf_dir: str, pool: str) -> DataFrame:
+    """Average precision of the test pairs from walks back in time, set-coded, pooled and scored by a dense head."""
+    import pandas as pd
+
+    from dgprop.baselines.neural import causal_walk_features
+    from dgprop.models.networks import fit_rows
+
+    e = cut(T.interactions(spark, sf_dir).withColumn("step", G.bucket()))
+    rows = with_negatives(cut(splits.time_split(_pairs(e))), 1).join(e.select(F.col("seq").alias("query_id"), "ts_us"), "query_id")
+
+    def work(pairs: pd.DataFrame, events: pd.DataFrame) -> pd.DataFrame:
+        pairs = pairs.sort_values(["query_id", "label", "dst"], ignore_index=True)
+        events = events[["a", "b", "t"]].set_axis(["src", "dst", "ts_us"], axis=1)
+        pairs["x"] = list(causal_walk_features(pairs, events, 4, 2, pool))
+        model = ClassModel([len(pairs["x"][0]), 16, 2])
+        params = fit_rows(model, pairs[pairs["part"] == "train"], 5, 256, 0.01, 0)
+        test = pairs[pairs["part"] == "test"]
+        return test[["label"]].assign(score=model.scores(params, test)[:, 1])
+
+    one = F.lit(0).alias("one")
+    scored = cut(rows).select("*", one).groupBy("one").cogroup(e.select(F.col("src").alias("a"), F.col("dst").alias("b"), F.col("ts_us").alias("t"), one).groupBy("one")).applyInPandas(work, "label int, score double")
+    return M.average_precision(scored.withColumn("score", F.round("score", 9))).select(F.lit(pool).alias("pool"), r("average_precision").alias("average_precision"))
+
+
+@query()
+def lp_causal_walks(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Walks pooled by mean and by attention."""
+    return causal_walk_links(spark, sf_dir, "mean").unionByName(causal_walk_links(spark, sf_dir, "attn"))
+
+
 @query()
 def nc_events(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Will the user's event be an error?  From the latest representation before it, a three-layer network."""
