@@ -168,8 +168,9 @@ def keep_good(docs: DataFrame, rules: tuple[Rule, ...] = RULES, threshold: float
     Counts are worked out twice, which needs no join and no copy of the texts.
     """
     p = "_quality_"
-    # The row number keeps the optimiser from working the counts out anew for every condition on them.
-    counted = with_counts(docs, p).withColumn(f"{p}row", F.monotonically_increasing_id())
+    # The row number keeps the optimiser from working the counts out anew for every condition on them;
+    # a filter on it keeps it from being left out.
+    counted = with_counts(docs, p).withColumn(f"{p}row", F.monotonically_increasing_id()).filter(F.col(f"{p}row") >= 0)
     model = fit(vote_patterns(counted, rules, p))
     good = model.posterior([r.vote(p) for r in rules]) >= threshold
     return counted.filter(~F.expr(Rule._on(BASE_FAILED, p)) & good).select(*docs.columns)
