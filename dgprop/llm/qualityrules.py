@@ -4,8 +4,11 @@ Every rule looks at counts of one document and votes good (1), bad (-1) or
 abstains (0).  Documents with equal votes are alike to the model, so one
 aggregation to vote patterns (at most 3 to the number of rules, whatever the
 input) holds all that expectation-maximisation needs.  It estimates, for each
-rule, how often it votes each way on good and on bad documents, and the share of
-good documents; the posterior probability of "good" then takes the place of a
+rule, how often it votes each way on good documents and on each of several kinds
+of bad ones (repetition is another fault than symbols, and one class for both
+takes the rarer fault for good), and the shares of the kinds.  On every kind a
+vote is the likelier, against good documents, the worse it is, so a bad vote
+always lowers the posterior probability of "good", which takes the place of a
 filter that all rules must pass.
 
 All counts are row-local DataFrame expressions: no shuffle but that of the
@@ -20,6 +23,7 @@ from __future__ import annotations
 import math
 from dataclasses import dataclass
 
+import numpy as np
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -92,59 +96,107 @@ RULES = (
     Rule("variety", "100 * {n_distinct_words} >= 30 * {n_words}", "100 * {n_distinct_words} < 15 * {n_words}"),
     Rule("letters", "100 * {n_letters} >= 85 * {word_chars}", "100 * {n_letters} < 65 * {word_chars}"),
 )
+#: How much likelier a bad vote is at least than an abstention, on any kind of bad documents against good ones.
+LEAST_LIFT = 1.1
 BASE_FAILED = "{n_words} < 50 OR 100 * {n_repeat_words} > 50 * {n_words}"
 
 
 @dataclass(frozen=True)
 class QualityModel:
-    """The share of good documents and, for each rule, the chances of -1, 0 and 1 on bad and good ones."""
+    """The share of good documents and of each kind of bad ones, and the chances of the votes -1, 0 and 1 of each rule on them."""
 
     good_share: float
-    bad_votes: tuple[tuple[float, float, float], ...]
     good_votes: tuple[tuple[float, float, float], ...]
-
-    def log_odds(self, votes: list[Column]) -> Column:
-        total = F.lit(math.log(self.good_share) - math.log1p(-self.good_share))
-        for v, bad, good in zip(votes, self.bad_votes, self.good_votes, strict=True):
-            weight = [math.log(g) - math.log(b) for g, b in zip(good, bad, strict=True)]
-            total = total + F.when(v < 0, weight[0]).when(v == 0, weight[1]).otherwise(weight[2])
-        return total
-
-    def posterior(self, votes: list[Column]) -> Column:
-        return 1 / (1 + F.exp(-self.log_odds(votes)))
+    bad_shares: tuple[float, ...]
+    bad_votes: tuple[tuple[tuple[float, float, float], ...], ...]
+
+    def chance(self, votes: tuple[int, ...]) -> float:
+        """The probability of "good", given the votes."""
+        odds = 0.0
+        for share, kind in zip(self.bad_shares, self.bad_votes, strict=True):
+            log = math.log(share) - math.log(self.good_share)
+            for v, bad, good in zip(votes, kind, self.good_votes, strict=True):
+                log += math.log(bad[v + 1]) - math.log(good[v + 1])
+            odds += math.exp(min(log, 700.0))
+        return 1 / (1 + odds)
+
+    def posterior(self, votes: list[Column], patterns: list[tuple[tuple[int, ...], int]]) -> Column:
+        """The probability of "good" for votes that are among the patterns."""
+
+        def code(v):
+            return sum(((x + 1) * 3**j for j, x in enumerate(v)), start=0)
+
+        # The frequent ones are found first.
+        listed = sorted(patterns, key=lambda p: (-p[1], p[0])) or [((0,) * len(votes), 0)]
+        at = F.array_position(F.lit([code(v) for v, _ in listed]).cast("array<bigint>"), code([v.cast("bigint") for v in votes]))
+        return F.get(F.lit([self.chance(v) for v, _ in listed]), (at - 1).cast("int"))
+
+
+def _ordered(chances: np.ndarray, good: np.ndarray) -> np.ndarray:
+    """The likeliest chances of -1, 0 and 1 whose ratios to the good ones' fall from vote to vote, by ``LEAST_LIFT`` after -1."""
+    base = good * np.array([LEAST_LIFT, 1, 1])
+    base = base / base.sum()
+    blocks: list[list[float]] = []
+    for p, w in zip(chances, base, strict=True):
+        blocks.append([p, w, 1])
+        while len(blocks) > 1 and blocks[-2][0] * blocks[-1][1] < blocks[-1][0] * blocks[-2][1]:
+            last = blocks.pop()
+            blocks[-1] = [x + y for x, y in zip(blocks[-1], last, strict=True)]
+    return base * np.concatenate([[p / w] * k for p, w, k in blocks])
+
+
+def _maximise(hot: np.ndarray, n: np.ndarray, belief: np.ndarray, rounds: int, smooth: float):
+    """Shares, chances (class, rule, vote), beliefs and log-likelihood; class 0 is the good one."""
+    for _ in range(rounds):
+        mass = belief * n[:, None]
+        share = mass.sum(0) + smooth
+        share /= share.sum()
+        chance = np.einsum("pc,pjv->cjv", mass, hot) + smooth
+        chance /= chance.sum(2, keepdims=True)
+        for kind in chance[1:]:
+            for j, good in enumerate(chance[0]):
+                kind[j] = _ordered(kind[j], good)
+        each = np.log(share) + np.einsum("pjv,cjv->pc", hot, np.log(chance))
+        total = np.logaddexp.reduce(each, axis=1)
+        new = np.exp(each - total[:, None])
+        changed, belief = np.abs(new - belief).max(), new
+        if changed < 1e-9:
+            break
+    return share, chance, belief, float((n * total).sum())
 
 
 def fit(patterns: list[tuple[tuple[int, ...], int]], rounds: int = 100, smooth: float = 1.0) -> QualityModel:
     """Expectation-maximisation over (votes, documents with them).
 
-    It starts from the balance of the votes.  ``smooth`` documents are added to
-    each count.  Without documents all chances are even.
+    It starts from the balance of the votes and one kind of bad documents.  A
+    further kind starts from the documents that are held good though one of the
+    rules votes bad; the best of these starts is taken as long as the Bayesian
+    information criterion gains.  ``smooth`` documents are added to each count.
+    Without documents all chances are even.
     """
     patterns = sorted(patterns)
-    n_rules = len(patterns[0][0]) if patterns else len(RULES)
-    belief = [1 / (1 + math.exp(-float(sum(v)))) for v, _ in patterns]
-    model = QualityModel(0.5, ((1 / 3,) * 3,) * n_rules, ((1 / 3,) * 3,) * n_rules)
-    for _ in range(rounds if patterns else 0):
-        weight = [0.0, 0.0]
-        tables = [[[smooth] * 3 for _ in range(n_rules)] for _ in range(2)]
-        for (votes, n), b in zip(patterns, belief, strict=True):
-            for side, mass in ((0, n * (1 - b)), (1, n * b)):
-                weight[side] += mass
-                for j, v in enumerate(votes):
-                    tables[side][j][v + 1] += mass
-        share = (weight[1] + smooth) / (sum(weight) + 2 * smooth)
-        chance = [tuple(tuple(x / sum(row) for x in row) for row in t) for t in tables]
-        model = QualityModel(share, chance[0], chance[1])
-        changed = 0.0
-        for k, (votes, _) in enumerate(patterns):
-            odds = math.log(share) - math.log1p(-share)
-            for j, v in enumerate(votes):
-                odds += math.log(model.good_votes[j][v + 1]) - math.log(model.bad_votes[j][v + 1])
-            new = 1 / (1 + math.exp(-odds)) if odds > -700 else 0.0
-            changed, belief[k] = max(changed, abs(new - belief[k])), new
-        if changed < 1e-9:
+    if not patterns:
+        even = ((1 / 3,) * 3,) * len(RULES)
+        return QualityModel(0.5, even, (0.5,), (even,))
+    votes, n = np.array([v for v, _ in patterns]), np.array([c for _, c in patterns], float)
+    n_rules = votes.shape[1]
+    hot = (votes[:, :, None] == np.array([-1, 0, 1])).astype(float)
+    good = 1 / (1 + np.exp(-votes.sum(1).astype(float)))
+    best = _maximise(hot, n, np.stack([good, 1 - good], 1), rounds, smooth)
+    cost = (1 + 2 * n_rules) * math.log(n.sum()) / 2
+    while best[2].shape[1] <= n_rules:
+        tries = []
+        for j in range(n_rules):
+            moved = np.where(votes[:, j] < 0, best[2][:, 0], 0)
+            belief = np.maximum(np.column_stack([best[2], moved]), 1e-6)
+            belief[:, 0] = np.maximum(best[2][:, 0] - moved, 1e-6)
+            tries.append(_maximise(hot, n, belief / belief.sum(1, keepdims=True), rounds, smooth))
+        top = max(tries, key=lambda t: t[3])
+        if top[3] - best[3] <= cost:
             break
-    return model
+        best = top
+    share, chance = best[0].tolist(), [tuple(map(tuple, c)) for c in best[1].tolist()]
+    return QualityModel(share[0], chance[0], tuple(share[1:]), tuple(chance[1:]))
 
 
 def vote_patterns(counts: DataFrame, rules: tuple[Rule, ...] = RULES, prefix: str = "") -> list[tuple[tuple[int, ...], int]]:
@@ -156,9 +208,9 @@ def vote_patterns(counts: DataFrame, rules: tuple[Rule, ...] = RULES, prefix: st
 def judge(docs: DataFrame, rules: tuple[Rule, ...] = RULES, threshold: float = 0.5) -> DataFrame:
     """doc_id, the counts, base_failed, good_probability and kept."""
     counts = save(with_counts(docs.select("doc_id", "text")).select("doc_id", *COUNTS), "quality-counts")
-    model = fit(vote_patterns(counts, rules))
+    patterns = vote_patterns(counts, rules)
     failed = F.expr(Rule._on(BASE_FAILED, ""))
-    good = model.posterior([r.vote() for r in rules])
+    good = fit(patterns).posterior([r.vote() for r in rules], patterns)
     return counts.select("doc_id", *COUNTS, failed.alias("base_failed"), good.alias("good_probability"), (~failed & (good >= threshold)).alias("kept"))
 
 
@@ -171,8 +223,8 @@ def keep_good(docs: DataFrame, rules: tuple[Rule, ...] = RULES, threshold: float
     # The row number keeps the optimiser from working the counts out anew for every condition on them;
     # a filter on it keeps it from being left out.
     counted = with_counts(docs, p).withColumn(f"{p}row", F.monotonically_increasing_id()).filter(F.col(f"{p}row") >= 0)
-    model = fit(vote_patterns(counted, rules, p))
-    good = model.posterior([r.vote(p) for r in rules]) >= threshold
+    patterns = vote_patterns(counted, rules, p)
+    good = fit(patterns).posterior([r.vote(p) for r in rules], patterns) >= threshold
     return counted.filter(~F.expr(Rule._on(BASE_FAILED, p)) & good).select(*docs.columns)
 
 

@@ -135,6 +135,18 @@ def test_expectation_maximisation_finds_planted_accuracies():
         assert model.good_votes[j][2] / (model.good_votes[j][0] + model.good_votes[j][2]) == pytest.approx(p, abs=0.03)
 
 
+def test_a_bad_vote_lowers_the_posterior_and_a_rarer_fault_is_found():
+    """Two faults that never meet: repetition, which two rules see, and symbols, which one sees."""
+    patterns = [((1, 1, 1), 8_000), ((-1, -1, 1), 600), ((-1, 0, 1), 100), ((0, -1, 1), 100), ((1, 1, -1), 350), ((0, 1, 1), 60), ((1, 0, -1), 100)]
+    model = qualityrules.fit(patterns)
+    for v in np.ndindex(3, 3, 3):
+        votes = [x - 1 for x in v]
+        for j in range(3):
+            chances = [model.chance((*votes[:j], x, *votes[j + 1 :])) for x in (-1, 0, 1)]
+            assert chances[0] < chances[1] <= chances[2]
+    assert model.chance((1, 1, 1)) > 0.5 > max(model.chance((-1, -1, 1)), model.chance((1, 0, -1)))
+
+
 def luhn(d):
     return sum(int(c) if i % 2 == 0 else (2 * int(c) - 9 if c > "4" else 2 * int(c)) for i, c in enumerate(reversed(d))) % 10 == 0
 
