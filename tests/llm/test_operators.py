@@ -318,6 +318,23 @@ def test_samples_collide_as_generalised_jaccard(spark):
     assert rate == pytest.approx(np.mean([p[3] for p in pairs]), abs=0.03)
 
 
+def test_likeness_error_of_the_samples_taken(spark):
+    """All samples that the query takes: the root mean square error stays below what 16 samples give (0.12)."""
+    texts = []
+    for i in range(80):
+        shared = 8 if i % 2 else 6
+        texts += [(3 * i + side, " ".join(f"w{i}_{k}" for k in range(first, first + 90))) for side, first in enumerate((0, 90 - 9 * shared))]
+    n = fingerprints.SAMPLES
+    made = {r["row"]: np.array(r["samples"]) for r in fingerprints.signatures(spark.createDataFrame(texts, "row bigint, text string"), ["row"]).collect()}
+    errors = []
+    for i in range(80):
+        both = 90 * (8 if i % 2 else 6) // 10
+        errors.append(np.mean(made[3 * i] == made[3 * i + 1]) - both / (180 - both))
+    assert {len(v) for v in made.values()} == {n} and n >= 64
+    assert np.sqrt(np.mean(np.square(errors))) < 0.08
+    assert len({tuple(v) for v in np.stack([made[0][k : k + 16] for k in range(0, n, 16)]).tolist()}) == n // 16
+
+
 def test_context_tree_probabilities_sum_to_one():
     import pyarrow as pa
 
