@@ -292,8 +292,9 @@ def vector_edges(spark: SparkSession, sf_dir: str) -> DataFrame:
 @query()
 def pr_push_embeddings_block(spark: SparkSession, sf_dir: str) -> DataFrame:
     e = vector_edges(spark, sf_dir)
-    x = T.table(spark, sf_dir, "embeddings").select((F.col("vec_id") + T.VECTOR).alias("node"), F.slice(F.col("embedding").cast("array<double>"), 1, 20).alias("x"))
-    return long_form(pr.push_blocks(e, x, RESTART, 1e-3, 20), "node")
+    x = T.table(spark, sf_dir, "embeddings").select((F.col("vec_id") + T.VECTOR).alias("node"), F.col("embedding").cast("array<double>").alias("x"))
+    width = x.agg(F.max(F.size("x"))).head()[0] or 1
+    return long_form(pr.push_blocks(e, x, RESTART, 1e-3, width), "node")
 
 
 @query("SELECT 1 AS within")

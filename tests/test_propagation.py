@@ -164,3 +164,13 @@ def test_a_round_has_one_exchange(spark, example):
         again = pr.push_round(cut(one), adj, [LOW], 1e-3, 1)
         assert count_exchanges(again) == 1
         assert "Python" not in plan_text(again) and "Cartesian" not in plan_text(again)
+
+
+def test_embeddings_are_pushed_in_all_columns(spark, sf, monkeypatch):
+    from dgprop.workloads import graphs
+
+    asked = []
+    monkeypatch.setattr(graphs.pr, "push_blocks", lambda e, x, spec, rmax, dim: asked.append(dim) or x.withColumnRenamed("x", "z"))
+    got = graphs.pr_push_embeddings_block(spark, sf)
+    held = spark.read.parquet(f"{sf}/embeddings.parquet").selectExpr("max(size(embedding))", "sum(size(embedding))").head()
+    assert asked == [held[0]] and got.count() == held[1]
