@@ -45,6 +45,31 @@ def save(df: DataFrame, name: str) -> DataFrame:
     return spark.read.schema(df.schema).parquet(folder)
 
 
+class Scratch:
+    """Tables in one folder of the shared one, which goes when the block ends; what is to stay is saved outside."""
+
+    def __init__(self, spark: SparkSession, name: str) -> None:
+        self.spark, self.folder, self.made = spark, new_folder(spark, name), 0
+
+    def __enter__(self) -> Scratch:
+        return self
+
+    def __exit__(self, *_: object) -> None:
+        remove(self.spark, self.folder)
+
+    def save(self, df: DataFrame, name: str) -> DataFrame:
+        self.made += 1
+        path = f"{self.folder}/{self.made:03d}-{name}"
+        df.write.parquet(path)
+        return self.spark.read.schema(df.schema).parquet(path)
+
+
+def remove(spark: SparkSession, folder: str) -> None:
+    """Delete a folder by the file system that Spark uses for it."""
+    path = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(folder)
+    path.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(path, True)
+
+
 def text_rows(docs: DataFrame, *more: str) -> DataFrame:
     """doc_id and the text (null: empty), with the named columns; others go."""
     return docs.select("doc_id", F.coalesce(F.col("text"), F.lit("")).alias("text"), *more)

@@ -10,6 +10,8 @@ neighbours is no hot key.  Each round is a table in the shared folder.
 
 from __future__ import annotations
 
+from collections.abc import Callable
+
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -34,7 +36,7 @@ def _lesser(edges: DataFrame) -> DataFrame:
     return joined.union(least.select("a", F.col("m").alias("b"))).distinct()
 
 
-def components(edges: DataFrame) -> DataFrame:
+def components(edges: DataFrame, save: Callable[[DataFrame, str], DataFrame] = save) -> DataFrame:
     """From undirected edges (a, b): node and root, the least node it is connected with; nodes without edges are not in it."""
     now = save(edges.filter("a <> b").select(F.greatest("a", "b").alias("a"), F.least("a", "b").alias("b")).distinct(), "edges")
     state = _state(now)

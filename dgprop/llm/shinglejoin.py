@@ -9,16 +9,24 @@ filtered by size and position, and by parities of the sets; pairs that are left
 and members are verified on their whole sets.
 
 What is asked for are components, so a link inside a component that is known
-already need not be found again.  A first round compares each group under a
-shingle with one group only, the one whose prefix is met most often there, which
-takes as many pairs as there are postings.  A second round compares all members
-under a shingle that are still in different components.  Exact copies have one
-set and are one node throughout.  Nothing is capped: every pair is linked, is in
-one component, or was ruled out by a filter that loses nothing.
+already need not be found again.  First turns compare a group with a few hubs
+only, groups of the component that most groups under a shingle are in: as many
+pairs as there are groups, however many of them share a shingle.  When that finds
+few links, the last turn takes all pairs of groups under a shingle that are not
+in one component, filters them, and expands what is left to members.  Its work
+still grows with the pairs of groups that share a rare shingle and are in
+different components; sizes, positions and parities rule out most of them in the
+join.  Exact copies have one set and are one node throughout.  Nothing is capped:
+every pair is linked, is in one component, or was ruled out by a filter that
+loses nothing.
 
 Null and empty texts have no shingle and are alone; fewer words than five are one
-shingle; repeated rows are copies; other columns are ignored; an empty table
-gives an empty result.  Sets of equal 64-bit digest and size count as equal.
+shingle; a very long text is one row of hashes at a time in a worker; repeated
+rows, rows that share a doc_id and rows without one each have the component of
+their text, whose component_id is the least doc_id in it (null if all are null);
+other columns are ignored; an empty table gives an empty result.  Sets of equal
+64-bit digest and size count as equal.  Sketches are of fixed size: beyond 2 ** 24
+documents the order gets coarser and the lists are filtered less, which costs time, never links.
 """
 
 from __future__ import annotations
@@ -28,10 +36,10 @@ from collections.abc import Callable, Iterator
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import Column, DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from dgprop.llm.common import documents, save, shuffle_partitions
+from dgprop.llm.common import Scratch, documents, save, shuffle_partitions
 from dgprop.llm.components import components
 from dgprop.llm.textblocks import mix, shingle_sets
 
@@ -41,8 +49,14 @@ OVER, UNDER = 4, 5
 PARITIES = 4
 PARITY = [f"parity{i}" for i in range(PARITIES)]
 _BLOCK_BITS = 14
-#: Shingles of a group that the first round looks at.
-FIRST_LOOK = 6
+#: Shingles of a group that the first turns look at, from either end of its prefix, hubs of each shingle in a turn, pairs of each group in a turn, and turns at most.
+LOOKED, HUBS, NEAREST, TURNS = 4, 32, 2, 2
+#: The turns end when fewer than one pair in so many is a link.
+LEAST_GAIN = 20
+#: Rows under one shingle that are compared in one task.
+SPLIT = 512
+#: Shingles before one that its row remembers.
+EARLIER = 4
 
 
 def prefix_length(n: int) -> int:
@@ -166,7 +180,7 @@ class _Ordered:
 
 
 def set_rows(docs: DataFrame, levels) -> DataFrame:
-    """doc_id, n_shingles, node (digest of the set), grp (digest of size and prefix) and the set's parities; nulls without shingles."""
+    """doc_id, text_key, n_shingles, node (digest of the set), grp (digest of size and prefix) and the set's parities; nulls without shingles."""
 
     def work(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         order = _Ordered(levels.value)
@@ -178,15 +192,15 @@ def set_rows(docs: DataFrame, levels) -> DataFrame:
                 grp.append(_digest(order.prefix(s), len(s), 2) if len(s) else None)
                 bits.append(parities(s))
             parity = np.array(bits, np.int64).reshape(-1, PARITIES)
-            yield pa.RecordBatch.from_arrays([batch.column("doc_id"), *(pa.array(x, pa.int64()) for x in (n, node, grp, *parity.T))], ["doc_id", "n_shingles", "node", "grp", *PARITY])
+            yield pa.RecordBatch.from_arrays([batch.column("doc_id"), batch.column("text_key"), *(pa.array(x, pa.int64()) for x in (n, node, grp, *parity.T))], ["doc_id", "text_key", "n_shingles", "node", "grp", *PARITY])
 
-    return docs.select("doc_id", "text").mapInArrow(work, "doc_id bigint, n_shingles bigint, node bigint, grp bigint, " + ", ".join(f"{c} bigint" for c in PARITY))
+    return docs.select(F.col("doc_id").cast("bigint"), text_key().alias("text_key"), "text").mapInArrow(work, "doc_id bigint, text_key bigint, n_shingles bigint, node bigint, grp bigint, " + ", ".join(f"{c} bigint" for c in PARITY))
 
 
 def postings(docs: DataFrame, levels, wanted=None) -> DataFrame:
-    """h, grp, n, pos, early: a group's prefix, once for each task; only shingles that ``wanted`` may hold.
+    """h, grp, n, pos, looked: a group's prefix, once for each task; only shingles that ``wanted`` may hold.
 
-    ``early`` counts the shingles that are left, from rare to frequent.
+    ``looked`` marks the rarest and the most frequent of the shingles that are left.
     """
 
     def work(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -214,25 +228,35 @@ def postings(docs: DataFrame, levels, wanted=None) -> DataFrame:
                         pa.array(np.repeat(np.array([o[1] for o in out], np.int64), sizes)),
                         pa.array(np.repeat(np.array([o[2] for o in out], np.int32), sizes)),
                         pa.array(np.concatenate([o[3] for o in out]).astype(np.int32)),
-                        pa.array(np.concatenate([np.arange(k) for k in sizes]).astype(np.int32)),
+                        pa.array(np.concatenate([(at < LOOKED) | (at >= k - LOOKED) for k in sizes for at in [np.arange(k)]])),
                     ],
-                    ["h", "grp", "n", "pos", "early"],
+                    ["h", "grp", "n", "pos", "looked"],
                 )
 
-    return docs.select("text").mapInArrow(work, "h bigint, grp bigint, n int, pos int, early int")
+    return docs.select("text").mapInArrow(work, "h bigint, grp bigint, n int, pos int, looked boolean")
 
 
 def possible(a: str, b: str) -> Column:
     """Whether sizes and positions in the prefixes leave room for the similarity."""
     na, nb = F.col(f"{a}.n").cast("bigint"), F.col(f"{b}.n").cast("bigint")
     rest = F.least(na - F.col(f"{a}.pos"), nb - F.col(f"{b}.pos"))
-    return (UNDER * F.least(na, nb) >= OVER * F.greatest(na, nb)) & ((OVER + UNDER) * rest >= OVER * (na + nb))
+    return near_sizes(a, b) & ((OVER + UNDER) * rest >= OVER * (na + nb))
+
+
+def near_sizes(a: str, b: str) -> Column:
+    na, nb = F.col(f"{a}.n").cast("bigint"), F.col(f"{b}.n").cast("bigint")
+    return UNDER * F.least(na, nb) >= OVER * F.greatest(na, nb)
+
+
+def parities_apart(a: str, b: str) -> Column:
+    """In how many parities two sets differ, which is at most the number of shingles that only one of them has."""
+    differ = [F.bit_count(F.col(f"{a}.{c}").bitwiseXOR(F.col(f"{b}.{c}"))) for c in PARITY]
+    return sum(differ[1:], differ[0])
 
 
 def near_parities(a: str, b: str) -> Column:
     """Whether the parities leave room for the similarity: sets that are similar differ in few shingles."""
-    apart = sum([F.bit_count(F.col(f"{a}.{c}").bitwiseXOR(F.col(f"{b}.{c}"))) for c in PARITY[1:]], F.bit_count(F.col(f"{a}.{PARITY[0]}").bitwiseXOR(F.col(f"{b}.{PARITY[0]}"))))
-    return (OVER + UNDER) * apart <= (UNDER - OVER) * (F.col(f"{a}.n") + F.col(f"{b}.n"))
+    return (OVER + UNDER) * parities_apart(a, b) <= (UNDER - OVER) * (F.col(f"{a}.n") + F.col(f"{b}.n"))
 
 
 def verified(pairs: DataFrame, sets: DataFrame) -> DataFrame:
@@ -254,94 +278,172 @@ def verified(pairs: DataFrame, sets: DataFrame) -> DataFrame:
     return pairs.join(one, "a").join(two, "b").select("a", "b", "left_set", "right_set").mapInArrow(work, "a bigint, b bigint")
 
 
-def sets_of(docs: DataFrame, wanted: DataFrame, bits: int) -> DataFrame:
-    """node and its sorted set, from one document each; ``wanted`` has node and doc."""
-    places = docs.sparkSession.sparkContext.broadcast(membership(wanted, "doc", bits))
+def sets_of(docs: DataFrame, wanted: DataFrame, bits: int, save: Callable[[DataFrame, str], DataFrame]) -> DataFrame:
+    """node and its sorted set, written; ``wanted`` has node and the key of a text that has it.
+
+    Texts are chosen by their key and told apart by the digest of their set, so rows
+    that share a doc_id, or have none, are no matter.
+    """
+    places = docs.sparkSession.sparkContext.broadcast(membership(wanted, "text_key", bits))
 
     def work(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        seen = set()
         for batch in batches:
-            ids = batch.column("doc_id")
-            rows = batch.filter(pa.array(_holds(places.value, ids.to_numpy(zero_copy_only=False))))
+            rows = batch.filter(pa.array(_holds(places.value, batch.column("text_key").to_numpy(zero_copy_only=False))))
             for k in range(0, rows.num_rows, 256):
-                part = rows.slice(k, 256)
-                cells = [s.tobytes() for s in shingle_sets(part.column("text"), WIDTH)]
-                yield pa.RecordBatch.from_arrays([part.column("doc_id"), pa.array(cells, pa.binary())], ["doc", "cells"])
+                node, cells = [], []
+                for s in shingle_sets(rows.slice(k, 256).column("text"), WIDTH):
+                    d = _digest(s, len(s), 1) if len(s) else None
+                    if d is not None and d not in seen:
+                        seen.add(d)
+                        node.append(d)
+                        cells.append(s.tobytes())
+                yield pa.RecordBatch.from_arrays([pa.array(node, pa.int64()), pa.array(cells, pa.binary())], ["node", "cells"])
+
+    made = docs.select(text_key().alias("text_key"), "text").mapInArrow(work, "node bigint, cells binary")
+    found = save(made.join(wanted.select("node"), "node", "left_semi").dropDuplicates(["node"]), "sets")
+    places.destroy()
+    return found
 
-    made = docs.filter(F.col("doc_id").isNotNull()).select("doc_id", "text").mapInArrow(work, "doc bigint, cells binary")
-    # Rows that share a doc_id may differ in text; the digest tells which is meant.
-    return wanted.join(made, "doc").select("node", "cells")
+
+def text_key() -> Column:
+    return F.xxhash64(F.coalesce("text", F.lit("")))
 
 
 def ends_of(pairs: DataFrame, nodes: DataFrame) -> DataFrame:
-    """node and doc of the nodes in pairs (a, b)."""
+    """node and text_key of the nodes in pairs (a, b)."""
     ends = pairs.select(F.col("a").alias("node")).union(pairs.select(F.col("b").alias("node"))).distinct()
-    return nodes.join(ends, "node", "left_semi").select("node", "doc")
+    return nodes.join(ends, "node", "left_semi").select("node", "text_key")
+
+
+def ordered(pairs: DataFrame) -> DataFrame:
+    return pairs.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).filter("a <> b").distinct()
+
+
+def star_pairs(lists: DataFrame, tested: DataFrame, turn: int) -> DataFrame:
+    """Pairs of heads (a, b) that aren't tested yet: each with the nearest hubs of the part that most groups under a shingle are in.
+
+    ``lists`` has h, n, node, part and parities.  Each shingle has at most
+    ``HUBS`` hubs, others from turn to turn; each head is in at most ``NEAREST`` pairs as the one that looks.
+    """
+    busy = lists.join(lists.groupBy("h").agg(F.min("part").alias("x"), F.max("part").alias("y")).filter("x <> y").select("h"), "h", "left_semi")
+    top = busy.groupBy("h", "part").agg(F.count("*").alias("groups")).groupBy("h").agg(F.max_by("part", F.struct("groups", "part")).alias("its_part"))
+    drawn = Window.partitionBy("h").orderBy(F.xxhash64("node", F.lit(turn)), "node")
+    hubs = busy.join(top, "h").filter("part = its_part").withColumn("_rank", F.row_number().over(drawn)).filter(F.col("_rank") <= HUBS)
+    p, q = busy.alias("p"), hubs.alias("q")
+    met = p.join(q, (F.col("p.h") == F.col("q.h")) & (F.col("p.part") != F.col("q.part")) & near_sizes("p", "q") & near_parities("p", "q"))
+    near = met.groupBy(F.col("p.node").alias("node"), F.col("q.node").alias("hub")).agg(F.min(parities_apart("p", "q")).alias("apart"))
+    near = near.withColumns({"a": F.least("node", "hub"), "b": F.greatest("node", "hub")}).join(tested, ["a", "b"], "left_anti")
+    nearest = Window.partitionBy("node").orderBy("apart", F.xxhash64("hub"), "hub")
+    return near.withColumn("_rank", F.row_number().over(nearest)).filter(F.col("_rank") <= NEAREST).select("a", "b").distinct()
+
+
+def meeting(rows: DataFrame, key: str, own: str, condition: Column) -> DataFrame:
+    """Pairs (p, q) of rows with the same key, each once, that meet the condition.
+
+    A key of many rows is split: one side of each pair is dealt to blocks of about
+    ``SPLIT`` rows, the other is sent to all blocks of the key.
+    """
+    size = rows.groupBy(key).agg(F.count("*").alias("_size")).filter("_size > 1").select(key, F.ceil(F.col("_size") / SPLIT).cast("int").alias("_blocks"))
+    sized = rows.join(size, key)
+    p = sized.withColumn("_block", F.pmod(F.xxhash64(own), F.col("_blocks")).cast("int")).alias("p")
+    q = sized.withColumn("_block", F.explode(F.sequence(F.lit(0), F.col("_blocks") - 1))).alias("q")
+    return p.join(q, (F.col(f"p.{key}") == F.col(f"q.{key}")) & (F.col("p._block") == F.col("q._block")) & (F.col(f"p.{own}") < F.col(f"q.{own}")) & condition)
 
 
 def linked_components(docs: DataFrame) -> DataFrame:
-    """doc_id, n_shingles and component_id, the least doc_id that links reach."""
+    """doc_id, text_key, n_shingles and component_id, the least doc_id that links reach, of every row."""
     spark = docs.sparkSession
-    context = spark.sparkContext
+    with Scratch(spark, "join") as scratch:
+        return save(_linked(docs, scratch.save), "join-components")
+
+
+def _linked(docs: DataFrame, save: Callable[[DataFrame, str], DataFrame]) -> DataFrame:
+    context = docs.sparkSession.sparkContext
     n_docs = max(2, docs.count())
     bits = min(24, max(_BLOCK_BITS, math.ceil(math.log2(n_docs)) + 1))
     levels = context.broadcast(frequency_levels(docs, bits))
-    rows = save(set_rows(docs, levels), "join-rows")
-    nodes = save(rows.filter("n_shingles > 0").groupBy("node").agg(F.min("doc_id").alias("doc"), F.min("grp").alias("grp"), F.min("n_shingles").cast("int").alias("n"), *[F.min(c).alias(c) for c in PARITY]), "join-nodes")
+    rows = save(set_rows(docs, levels), "rows")
+    nodes = save(
+        rows.filter("n_shingles > 0").groupBy("node").agg(F.min("doc_id").alias("doc"), F.min("text_key").alias("text_key"), F.min("grp").alias("grp"), F.min("n_shingles").cast("int").alias("n"), *[F.min(c).alias(c) for c in PARITY]), "nodes"
+    )
 
     # Shingles in whose lists two groups meet, then these lists.
     met = postings(docs, levels).groupBy("h").agg(F.min("grp").alias("x"), F.max("grp").alias("y")).filter("x <> y").select("h")
-    met = save(met, "join-met")
+    met = save(met, "met")
     place_bits = min(28, max(17, math.ceil(math.log2(n_docs)) + 8))
     wanted = context.broadcast(membership(met, "h", place_bits))
-    lists = postings(docs, levels, wanted).groupBy("h", "grp").agg(F.min("n").alias("n"), F.min("pos").alias("pos"), F.min("early").alias("early"))
-    lists = save(lists.join(met, "h", "left_semi"), "join-lists")
-
-    # First round: each group with one that is met often, each member with the first of its group.
-    # It looks at a few of a group's shingles only; the second round has all of them.
-    first_lists = save(lists.filter(F.col("early") < FIRST_LOOK).drop("early"), "join-first")
-    sizes = first_lists.groupBy("h").agg(F.count("*").alias("groups")).filter("groups > 1")
-    busy = save(first_lists.join(sizes, "h"), "join-busy")
-    weight = busy.groupBy("grp").agg(F.sum("groups").alias("meets"))
-    best = busy.join(weight, "grp").groupBy("h").agg(F.max(F.struct("meets", "grp", "n", "pos")).alias("top")).select("h", "top.grp", "top.n", "top.pos")
-    stars = busy.alias("p").join(best.alias("q"), "h").filter((F.col("p.grp") != F.col("q.grp")) & possible("p", "q")).groupBy(F.col("p.grp").alias("g1"), F.col("q.grp").alias("g2")).count()
-    stars = stars.groupBy("g1").agg(F.max(F.struct("count", "g2")).alias("top")).select("g1", "top.g2")
-    heads = nodes.groupBy("grp").agg(F.min("node").alias("head"), F.count("*").alias("members"))
-    first = stars.join(heads.select(F.col("grp").alias("g1"), F.col("head").alias("a")), "g1").join(heads.select(F.col("grp").alias("g2"), F.col("head").alias("b")), "g2").select("a", "b")
-    own = nodes.join(heads.filter("members > 1"), "grp").filter("node <> head").select(F.col("node").alias("a"), F.col("head").alias("b"))
-    pairs = save(first.union(own).select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct(), "join-pairs")
-
-    sets = save(sets_of(docs, ends_of(pairs, nodes), place_bits), "join-sets")
-    links = save(verified(pairs, sets), "join-links")
-    roots = components(links)
-
-    # Second round: members under a shingle, or of a group, that are in different components.
-    in_play = nodes.join(lists.select("grp").union(heads.filter("members > 1").select("grp")).distinct(), "grp", "left_semi")
-    part = in_play.join(roots.withColumnRenamed("root", "part"), "node", "left").withColumn("part", F.coalesce("part", "node"))
-    spread = lists.select("h", "grp", "n", "pos").join(part.select("grp", "node", "part"), "grp")
-    inside = part.join(heads.filter("members > 1"), "grp", "left_semi").select("grp", F.col("grp").alias("h"), "n", F.lit(0).alias("pos"), "node", "part")
-    members = save(spread.select("h", "n", "pos", "node", "part").unionByName(inside.select("h", "n", "pos", "node", "part")), "join-members")
-    mixed = members.groupBy("h").agg(F.min("part").alias("x"), F.max("part").alias("y")).filter("x <> y").select("h")
-    still = save(members.join(mixed, "h").join(nodes.select("node", *PARITY), "node"), "join-still")
-    p, q = still.alias("p"), still.alias("q")
-    across = p.join(q, (F.col("p.h") == F.col("q.h")) & (F.col("p.node") < F.col("q.node")) & (F.col("p.part") != F.col("q.part")) & possible("p", "q") & near_parities("p", "q"))
-    rest = save(across.select(F.col("p.node").alias("a"), F.col("q.node").alias("b")).distinct().join(pairs, ["a", "b"], "left_anti"), "join-rest")
+    lists = postings(docs, levels, wanted).groupBy("h", "grp").agg(F.min("n").alias("n"), F.min("pos").alias("pos"), F.max("looked").alias("looked"))
+    lists = save(lists.join(met, "h", "left_semi"), "lists")
+
+    # Members of a group with its head, and heads with hubs, as long as that links many of them.
+    groups = nodes.groupBy("grp").agg(F.min("node").alias("head"), F.count("*").alias("members"))
+    several = save(nodes.join(groups.filter("members > 1"), "grp"), "several")
+    in_play = save(nodes.join(lists.select("grp").union(several.select("grp")).distinct(), "grp", "left_semi"), "in-play")
+    heads = in_play.groupBy("grp").agg(F.min_by(F.struct("node", *PARITY), "node").alias("head")).select("grp", "head.*")
+    looked = save(lists.filter("looked").drop("looked", "pos").join(heads, "grp"), "looked")
+    own = ordered(several.select(F.col("node").alias("a"), F.col("head").alias("b")))
+    tested = sets = roots = None
+    for turn in range(TURNS):
+        if roots is None:
+            pairs = save(star_pairs(looked.withColumn("part", F.col("node")), own, turn).union(own), "pairs")
+            tested, sets = pairs, sets_of(docs, ends_of(pairs, nodes), place_bits, save)
+        else:
+            part = looked.join(roots.withColumnRenamed("root", "part"), "node", "left").withColumn("part", F.coalesce("part", "node"))
+            pairs = save(star_pairs(part, tested, turn), "pairs")
+            others = ends_of(pairs, nodes).join(sets.select("node"), "node", "left_anti")
+            tested, sets = tested.union(pairs), sets.unionByName(sets_of(docs, others, place_bits, save))
+        more = save(verified(pairs, sets), "links")
+        roots = components(more if roots is None else roots.select(F.col("node").alias("a"), F.col("root").alias("b")).union(more), save)
+        if more.count() * LEAST_GAIN <= pairs.count():
+            break
+
+    # Groups that meet under a shingle and aren't all in one component, then their members.
+    part = save(in_play.join(roots.withColumnRenamed("root", "part"), "node", "left").withColumn("part", F.coalesce("part", "node")), "parts")
+    alone = [F.when(F.count("*") == 1, F.min(c)).alias(c) for c in PARITY]
+    state = part.groupBy("grp").agg(F.min("part").alias("low"), F.max("part").alias("high"), *alone)
+    spread = lists.select("h", "grp", "n", "pos").join(state, "grp")
+    mixed = spread.groupBy("h").agg(F.min("low").alias("x"), F.max("high").alias("y")).filter("x <> y").select("h")
+    # A pair that met under a shingle before this one need not meet again; a few shingles before tell mostly.
+    in_order = Window.partitionBy("grp").orderBy("pos")
+    still = spread.join(mixed, "h", "left_semi").withColumn("earlier", F.array(*[F.lag("h", k).over(in_order) for k in range(1, EARLIER + 1)]))
+    still = save(still.withColumn("earlier", F.array_compact("earlier")), "still")
+    first = ~F.arrays_overlap("p.earlier", "q.earlier")
+    apart = (F.col("p.low") != F.col("q.low")) | (F.col("p.low") != F.col("p.high")) | (F.col("q.low") != F.col("q.high"))
+    across = save(meeting(still, "h", "grp", apart & possible("p", "q") & F.coalesce(near_parities("p", "q"), F.lit(True)) & first).select(F.col("p.grp").alias("g1"), F.col("q.grp").alias("g2")).distinct(), "group-pairs")
+    one, two = (part.select(F.col("grp").alias(g), F.struct("node", "part", "n", *PARITY).alias(s)) for g, s in (("g1", "p"), ("g2", "q")))
+    unlike = (F.col("p.part") != F.col("q.part")) & near_parities("p", "q")
+    between = across.join(one, "g1").join(two, "g2").filter(unlike).select(F.col("p.node").alias("a"), F.col("q.node").alias("b"))
+    inside = meeting(part.join(several.select("node"), "node", "left_semi"), "grp", "node", unlike).select(F.col("p.node").alias("a"), F.col("q.node").alias("b"))
+    rest = save(ordered(between.union(inside)).join(tested, ["a", "b"], "left_anti"), "rest")
     others = ends_of(rest, nodes).join(sets.select("node"), "node", "left_anti")
-    sets = sets.unionByName(save(sets_of(docs, others, place_bits), "join-sets"))
-    more = save(verified(rest, sets), "join-more")
-    roots = components(links.union(more))
+    more = save(verified(rest, sets.unionByName(sets_of(docs, others, place_bits, save))), "links")
+    roots = components(roots.select(F.col("node").alias("a"), F.col("root").alias("b")).union(more), save)
 
     least = nodes.join(roots, "node", "left").withColumn("root", F.coalesce("root", "node"))
     by_root = least.groupBy("root").agg(F.min("doc").alias("component_id"))
-    known = least.join(by_root, "root").select("node", "component_id")
-    alone = rows.select("doc_id", "n_shingles", "node").join(known, "node", "left")
-    return alone.select("doc_id", "n_shingles", F.coalesce("component_id", "doc_id").alias("component_id"))
+    known = least.join(by_root, "root").select("node", "root", "component_id")
+    levels.destroy()
+    wanted.destroy()
+    found = rows.select("doc_id", "text_key", "n_shingles", "node").join(known, "node", "left")
+    return found.select("doc_id", "text_key", "n_shingles", F.when(F.col("node").isNull(), F.col("doc_id")).otherwise(F.col("component_id")).alias("component_id"), "root")
 
 
 def one_of_each(docs: DataFrame) -> DataFrame:
-    """The rows of ``docs`` whose doc_id is their component's; of rows that share it, one."""
-    keep = linked_components(docs).filter("doc_id = component_id").select("doc_id").distinct()
-    return docs.join(keep, "doc_id", "left_semi").dropDuplicates(["doc_id"]).select(*docs.columns)
+    """One row of ``docs`` for each component: the one of the least doc_id, and of rows that share it the one of the least text_key.
+
+    Rows without shingles are alone, each text of a doc_id for itself.  Of rows with
+    equal doc_id and text one is kept; a row without doc_id goes for any other of its component.
+    """
+    rows = linked_components(docs)
+    row = F.struct(F.col("doc_id").isNull().alias("none"), F.col("doc_id"), F.col("text_key"))
+    linked = rows.filter("root IS NOT NULL").groupBy("root").agg(F.min(row).alias("row")).select("row.doc_id", "row.text_key")
+    keep = linked.union(rows.filter("root IS NULL").select("doc_id", "text_key")).distinct()
+    key = [F.coalesce("doc_id", F.lit(-(1 << 62))).alias("_doc"), F.col("doc_id").isNull().alias("_none")]
+    keyed = docs.select("*", *key, text_key().alias("_text_key"))
+    kept = keyed.join(keep.select(*key, F.col("text_key").alias("_text_key")), ["_doc", "_none", "_text_key"], "left_semi")
+    return kept.dropDuplicates(["_doc", "_none", "_text_key"]).select(*docs.columns)
 
 
 def op1_ngram_jaccard_join(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return linked_components(documents(spark, sf_dir))
+    return linked_components(documents(spark, sf_dir)).select("doc_id", "n_shingles", "component_id")
