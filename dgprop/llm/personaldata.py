@@ -6,16 +6,21 @@ propose more spans, which may overlap: addresses written out, numbers with other
 separators or without a prefix.  Each candidate has features of its format and its
 context, all in small bins.  Boosted trees of depth two are grown from the counts
 of equal feature vectors (their number is bounded by the bins, whatever the
-input): base spans are the positives; candidates that fail their check, or that
-lie over a base span of another kind, the negatives; the rest is what the trees
-decide on.  The threshold of each kind is the least score whose precision on the
-held-out half of the labelled candidates is high enough.
-
-Positions are code points, ends exclusive.  They come from the pieces between
-matches, so that no position has to be searched.  All is local to the row but the
-aggregation of feature vectors.  Null and empty texts have no span; repeated rows
-are treated alike; other columns are passed on by ``redact`` and ignored by
-``find_spans``; without candidates of a kind nothing is added.
+input).  Positives are base spans in an altered form that a loose pattern matches,
+in the place where they stand; negatives are strict matches that fail their check,
+and loose ones over a base span of another kind.  Candidates that the trees decide
+on are in neither.  The threshold of each kind is as low as the precision on the
+held-out half of the labelled texts allows, and not below even chances.
+
+Positions are code points, ends exclusive: running sums of the matches and the
+gaps between them, in windows over the matches of one text, which are rows.
+Overlaps come from running ends in the order of starts.  So the work for a text
+grows with its length times the logarithm of its matches, a very long text of
+numbers included.  Equal texts are worked on once.  Null and empty texts have no
+span; repeated rows are treated alike; texts are told apart by 128 bits of hash;
+other columns are passed on by ``redact`` (those that start with ``_text`` and
+``_cuts`` must not be there) and ignored by ``find_spans``; without candidates of a kind, in
+an empty table too, nothing is added.
 """
 
 from __future__ import annotations
@@ -23,7 +28,7 @@ from __future__ import annotations
 import math
 from dataclasses import dataclass, field
 
-from pyspark.sql import Column, DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from dgprop.llm.common import documents, save
@@ -46,6 +51,8 @@ LOOSE = {
 }
 #: What a text must hold for a pattern to be worth trying.
 HINTS = {"email": r"@|[(\[{\x20]at[)\]}\x20]", "ip": r"[0-9]", "card": r"[0-9]", "phone": r"[0-9]"}
+#: Code points before and after a match that make its context.
+NEAR = 30
 CUES = "mail|contact|phone|tel|call|mobile|fax|card|visa|credit|ip|address|server|host|login|account"
 #: Upper bounds of the bins of each feature.
 BINS = {
@@ -53,33 +60,50 @@ BINS = {
     "size": (8, 11, 14, 17, 20, 30),
     "digits": (0, 5, 9, 12, 13, 15, 16, 19),
     "groups": (1, 2, 3, 4, 5),
+    "parts": (0, 1, 2),
     "passes": (0,),
-    "before": (0, 1, 2),
-    "after": (0, 1, 2),
+    "left": (0, 1, 2),
+    "right": (0, 1, 2),
     "cue": (0,),
     "near_digits": (0, 3, 8),
 }
 FEATURES = tuple(BINS)
 LEAST_PRECISION = 0.9
-_CANDIDATE = "struct<kind:int,start:int,end:int,value:string,base:boolean>"
+TEXT = ("text1", "text2")
+_WRITTEN = "at|dot"
+
+
+def text_keys(text: Column) -> list[Column]:
+    """Two 64-bit hashes that tell texts apart."""
+    return [F.xxhash64(text).alias(TEXT[0]), F.xxhash64(F.lit(1), text).alias(TEXT[1])]
 
 
 def _sql(pattern: str) -> str:
     return "r'" + pattern.replace("'", "\\x27") + "'"
 
 
-def _found(kind: int, pattern: str, base: bool) -> Column:
-    """All matches of a pattern with their places, from the text's pieces between them."""
-    name = KINDS[kind]
+def _found(kind: int, pattern: str, base: bool) -> str:
+    """SQL for all matches of a pattern, each with the gap before it, and one more entry for the last gap."""
     split, match = f"split(_text, {_sql(pattern)})", f"regexp_extract_all(_text, {_sql(pattern)}, 0)"
-    step = f"""aggregate(
-        zip_with(slice({split}, 1, size({match})), {match}, (gap, m) -> struct(length(gap) AS gap, m)),
-        struct(0 AS at, CAST(array() AS array<{_CANDIDATE}>) AS found),
-        (had, x) -> struct(
-            CAST(had.at + x.gap + length(x.m) AS int) AS at,
-            concat(had.found, array(struct({kind} AS kind, CAST(had.at + x.gap AS int) AS start, CAST(had.at + x.gap + length(x.m) AS int) AS end, x.m AS value, {str(base).lower()} AS base))) AS found),
-        had -> had.found)"""
-    return F.when(F.col("_text").rlike(HINTS[name]), F.expr(step)).otherwise(F.expr(f"CAST(array() AS array<{_CANDIDATE}>)"))
+    made = f"zip_with({split}, {match}, (gap, m) -> struct({kind} AS kind, {str(base).lower()} AS base, length(gap) AS gap, right(gap, {NEAR}) AS before, left(gap, {NEAR}) AS head, m AS value))"
+    none = f"filter(array(struct({kind} AS kind, true AS base, 0 AS gap, '' AS before, '' AS head, '' AS value)), x -> false)"
+    return f"CASE WHEN _text RLIKE {_sql(HINTS[KINDS[kind]])} THEN filter({made}, (x, i) -> i > 0 OR x.value IS NOT NULL) ELSE {none} END"
+
+
+def matches(docs: DataFrame) -> DataFrame:
+    """The text's keys, kind, base, start, end, value, before and after: all matches of the strict and loose patterns, once for equal texts.
+
+    A match's place is the running sum of the gaps and matches before it.
+    """
+    found = [_found(k, BASE[n], True) for k, n in enumerate(KINDS)] + [_found(k, LOOSE[n], False) for k, n in enumerate(KINDS)]
+    rows = docs.select(F.coalesce("text", F.lit("")).alias("_text")).filter(" OR ".join(f"_text RLIKE {_sql(HINTS[k])}" for k in ("email", "ip")))
+    rows = rows.select(*text_keys(F.col("_text")), F.array(*[F.expr(f) for f in found]).alias("_all"))
+    one = rows.select(*TEXT, F.explode("_all").alias("_kind")).select(*TEXT, F.posexplode("_kind").alias("k", "m")).select(*TEXT, "k", "m.*")
+    one = one.dropDuplicates([*TEXT, "kind", "base", "k"])
+    along = Window.partitionBy(*TEXT, "kind", "base").orderBy("k")
+    size = F.length("value")
+    placed = one.withColumns({"end": F.sum(F.col("gap") + F.coalesce(size, F.lit(0))).over(along), "after": F.lead("head").over(along)}).filter("value IS NOT NULL")
+    return placed.select(*TEXT, "kind", "base", (F.col("end") - size).cast("int").alias("start"), F.col("end").cast("int").alias("end"), "value", "before", "after")
 
 
 _DIGITS = "regexp_replace({v}, '[^0-9]', '')"
@@ -88,12 +112,11 @@ _LUHN = """aggregate(filter(split(reverse({d}), ''), p -> p <> ''), struct(0 AS
     had -> had.sum % 10 = 0)"""
 
 
-def _passes(c: str) -> str:
-    """SQL for whether a candidate passes the check of its kind."""
-    v = f"{c}.value"
+def _passes(v: str, strict: str) -> str:
+    """SQL for whether a value passes the check of its kind."""
     d = _DIGITS.format(v=v)
-    return f"""CASE {c}.kind
-        WHEN 0 THEN {c}.base OR {v} RLIKE '[A-Za-z]{{2,}}$'
+    return f"""CASE kind
+        WHEN 0 THEN {strict} OR {v} RLIKE '[A-Za-z]{{2,}}$'
         WHEN 1 THEN forall(filter(split(regexp_replace({v}, '[^0-9.]', ''), '[.]'), p -> p <> ''), p -> length(ltrim('0', p)) <= 3 AND coalesce(try_cast(ltrim('0', p) AS int), 0) <= 255)
         WHEN 2 THEN CASE WHEN length({d}) BETWEEN 14 AND 19 THEN {_LUHN.format(d=d)} ELSE false END
         ELSE length({d}) BETWEEN 10 AND 15 END"""
@@ -107,54 +130,58 @@ def _bin(value: str, bounds: tuple[int, ...]) -> str:
     return "CASE " + " ".join(f"WHEN {value} <= {b} THEN {i}" for i, b in enumerate(bounds)) + f" ELSE {len(bounds)} END"
 
 
-def _features(c: str) -> str:
-    near = f"concat(substring(_text, greatest({c}.start - 19, 1), least({c}.start, 20)), substring(_text, {c}.end + 1, 20))"
-    before = f"CASE WHEN {c}.start = 0 THEN '' ELSE substring(_text, {c}.start, 1) END"
+def _features(v: str, passes: str) -> Column:
+    """The bins of a value's format and of what stands before and after it."""
     value = {
-        "kind": f"{c}.kind",
-        "size": f"length({c}.value)",
-        "digits": f"length({_DIGITS.format(v=f'{c}.value')})",
-        "groups": f"size(regexp_extract_all({c}.value, '[0-9]+', 0))",
-        "passes": f"CAST({c}.passes AS int)",
-        "before": _char_class(before),
-        "after": _char_class(f"substring(_text, {c}.end + 1, 1)"),
-        "cue": f"CAST(lower(substring(_text, greatest({c}.start - 29, 1), least({c}.start, 30))) RLIKE '\\\\b({CUES})' AS int)",
-        "near_digits": f"length(regexp_replace({near}, '[^0-9]', ''))",
+        "kind": "kind",
+        "size": f"length({v})",
+        "digits": f"length({_DIGITS.format(v=v)})",
+        "groups": f"size(regexp_extract_all({v}, '[0-9]+', 0))",
+        "parts": f"CASE WHEN {v} RLIKE '[(\\\\[{{]| ({_WRITTEN}) ' THEN 3 WHEN {v} RLIKE '[/_-]' THEN 2 WHEN {v} RLIKE '[.]' THEN 1 ELSE 0 END",
+        "passes": f"CAST({passes} AS int)",
+        "left": _char_class("right(before, 1)"),
+        "right": _char_class("left(after, 1)"),
+        "cue": f"CAST(lower(before) RLIKE '\\\\b({CUES})' AS int)",
+        "near_digits": "length(regexp_replace(concat(before, after), '[^0-9]', ''))",
     }
-    return "array(" + ", ".join(f"CAST({_bin(value[f], BINS[f])} AS int)" for f in FEATURES) + ")"
-
+    return F.expr("array(" + ", ".join(f"CAST({_bin(value[f], BINS[f])} AS int)" for f in FEATURES) + ")")
 
-def _overlap(a: str, b: str) -> str:
-    return f"({a}.start < {b}.end AND {b}.start < {a}.end)"
 
+def _altered() -> str:
+    """SQL for a base span as people write it to be found less easily: other separators, written-out signs, no prefix."""
+    turn = "pmod(xxhash64(text1, start), 3)"
+    digits = _DIGITS.format(v="value")
+    name, host, own = "substring_index(value, '@', 1)", "substring_index(value, '@', -1)", "regexp_replace(value, '^[+][0-9]{1,3}[ .-]*', '')"
+    return f"""CASE kind
+        WHEN 0 THEN CASE {turn} WHEN 0 THEN concat({name}, ' (at) ', replace({host}, '.', ' (dot) ')) WHEN 1 THEN concat({name}, ' at ', replace({host}, '.', ' dot ')) ELSE concat({name}, '[at]', {host}) END
+        WHEN 1 THEN CASE {turn} WHEN 0 THEN replace(value, '.', '[.]') WHEN 1 THEN replace(value, '.', ' . ') ELSE replace(value, '.', '(.)') END
+        WHEN 2 THEN regexp_replace({digits}, '(....)(?=.)', CASE {turn} WHEN 0 THEN '$1.' WHEN 1 THEN '$1/' ELSE '$1_' END)
+        ELSE CASE {turn} WHEN 0 THEN concat('00', regexp_replace(substring(value, 2), '[^0-9]+', ' ')) WHEN 1 THEN {own} ELSE replace(trim(regexp_replace({own}, '[^0-9]+', ' ')), ' ', '.') END END"""
 
-def with_candidates(rows: DataFrame) -> DataFrame:
-    """Add to rows with ``_text`` the columns ``_base`` (valid base spans) and ``_other`` (other candidates with features and label)."""
-    strict = F.concat(*[_found(k, BASE[n], True) for k, n in enumerate(KINDS)])
-    loose = F.concat(*[_found(k, LOOSE[n], False) for k, n in enumerate(KINDS)])
 
-    def checked(name: str) -> Column:
-        return F.expr(f"transform({name}, c -> struct(c.kind, c.start, c.end, c.value, c.base, {_passes('c')} AS passes))")
+def candidates(docs: DataFrame) -> DataFrame:
+    """The text's keys, kind, start, end, state, x: valid base spans (state 1), undecided candidates (-1) and known negatives (0).
 
-    def featured(name: str, label: str) -> Column:
-        return F.expr(f"transform({name}, c -> struct(c.kind, c.start, c.end, {_features('c')} AS x, CASE WHEN {label} END AS label))")
-
-    rows = rows.withColumns({"_strict": strict, "_loose": loose})
-    rows = rows.withColumns({"_strict": checked("_strict"), "_loose": checked("_loose")})
-    # A loose candidate over a base span of its own kind is that span; over one of another kind it is none.
-    rows = rows.withColumns(
-        {
-            "_base": F.expr("filter(_strict, c -> c.passes)"),
-            "_other": F.expr("filter(_loose, c -> NOT exists(_strict, b -> b.passes AND b.kind = c.kind AND " + _overlap("b", "c") + "))"),
-        }
-    )
-    over = "exists(_base, b -> " + _overlap("b", "c") + ")"
-    return rows.withColumns(
-        {
-            "_known": featured("_strict", "c.passes THEN 1 ELSE 0"),
-            "_other": featured("_other", f"NOT c.passes OR {over} THEN 0 ELSE -1"),
-        }
-    ).drop("_strict", "_loose")
+    A base span's features are those of an altered form of it (null if no loose
+    pattern matches that).  Strict matches that fail their check, and loose ones that
+    lie over a base span of another kind only, are no personal data of their kind;
+    loose ones over a base span of their own kind are that span and are left out.
+    """
+    rows = matches(docs).withColumn("passes", F.expr(_passes("value", "base")))
+    held = F.col("base") & F.col("passes")
+    up, down = (Window.partitionBy(*TEXT).orderBy(*o).rowsBetween(Window.unboundedPreceding, -1) for o in ((F.col("start"), F.desc("base"), F.col("kind")), (F.desc("start"), F.col("base"), F.desc("kind"))))
+    over = F.lit(False)
+    own = F.lit(False)
+    for k in range(len(KINDS)):
+        mine = held & (F.col("kind") == k)
+        rows = rows.withColumns({f"_e{k}": F.max(F.when(mine, F.col("end"))).over(up), f"_s{k}": F.min(F.when(mine, F.col("start"))).over(down)})
+        meets = F.coalesce(F.col(f"_e{k}") > F.col("start"), F.lit(False)) | F.coalesce(F.col(f"_s{k}") < F.col("end"), F.lit(False))
+        over, own = over | meets, own | (meets & (F.col("kind") == k))
+    state = F.when(held, 1).when(F.col("base"), 0).when(own, None).when(over, 0).otherwise(-1)
+    rows = rows.withColumn("state", state).filter("state IS NOT NULL").withColumn("form", F.when(held, F.expr(_altered())).otherwise(F.col("value")))
+    matched = "CASE kind " + " ".join(f"WHEN {k} THEN regexp_extract(form, {_sql(LOOSE[n])}, 0) = form" for k, n in enumerate(KINDS)) + " END"
+    x = F.when((F.col("state") < 1) | F.expr(matched), _features("form", _passes("form", "false")))
+    return rows.select(*TEXT, "kind", "start", "end", "state", x.alias("x"))
 
 
 @dataclass(frozen=True)
@@ -192,10 +219,10 @@ class CandidateModel:
     def sql(self, x: str) -> str:
         return " + ".join([f"{self.start!r}D", *(f"({t.sql(x)})" for t in self.trees)])
 
-    def accepts(self, c: str) -> str:
-        """SQL for whether a candidate's score reaches the threshold of its kind."""
-        limit = " ".join(f"WHEN {k} THEN {t!r}D" for k, t in enumerate(self.thresholds) if t < math.inf)
-        return f"({self.sql(f'{c}.x')} >= CASE {c}.kind {limit} ELSE 1e300D END)" if limit else "false"
+    def limit(self) -> str:
+        """SQL for the least score of a candidate's kind."""
+        known = " ".join(f"WHEN {k} THEN {t!r}D" for k, t in enumerate(self.thresholds) if t < math.inf)
+        return f"CASE kind {known} ELSE 1e300D END" if known else "1e300D"
 
 
 def _grow(rows: list[tuple[tuple[int, ...], float, float]], depth: int, least: float, damp: float) -> Tree:
@@ -250,8 +277,10 @@ def boost(counts: list[tuple[tuple[int, ...], int, int, int]], n_trees: int = 40
         right = seen = 0
         for i, (score, label, n) in enumerate(held):
             right, seen = right + n * label, seen + n
-            if score > 0 and right >= LEAST_PRECISION * seen and (i + 1 == len(held) or held[i + 1][0] < score):
-                model.thresholds[kind] = score
+            below = held[i + 1][0] if i + 1 < len(held) else 0.0
+            if score > 0 and right >= LEAST_PRECISION * seen and below < score:
+                # Nothing is known to be wrong above the next score below.
+                model.thresholds[kind] = max(below, 0.0) + 1e-9
     return model
 
 
@@ -261,26 +290,33 @@ def _scaled(tree: Tree, rate: float) -> Tree:
     return Tree(0.0, tree.feature, tree.most, _scaled(tree.left, rate), _scaled(tree.right, rate))
 
 
-def fit(candidates: DataFrame) -> CandidateModel:
-    """Fit on rows with doc_id, _known and _other; what is collected are counts of feature vectors."""
-    labelled = candidates.select("doc_id", F.explode(F.concat("_known", "_other")).alias("c")).filter("c.label >= 0")
-    fold = F.pmod(F.xxhash64("doc_id"), F.lit(2)).cast("int")
-    rows = labelled.groupBy("c.x", "c.label", fold.alias("fold")).count().collect()
-    return boost([(tuple(r["x"]), r["label"], r["fold"], r["count"]) for r in rows])
+def fit(found: DataFrame) -> CandidateModel:
+    """Fit on candidates; what is collected are counts of feature vectors."""
+    fold = F.pmod(F.xxhash64(*TEXT), F.lit(2)).cast("int")
+    rows = found.filter("state >= 0 AND x IS NOT NULL").groupBy("x", "state", fold.alias("fold")).count().collect()
+    return boost([(tuple(r["x"]), r["state"], r["fold"], r["count"]) for r in rows])
+
 
+def spans_of(found: DataFrame, model: CandidateModel) -> DataFrame:
+    """For each text with spans its keys, ``base`` and ``spans``, (start, kind, end) in order, and ``cuts``, which don't overlap.
 
-def _chosen() -> Column:
-    """All spans of a row: base ones, and accepted ones that no base span and no better one overlaps."""
-    base = "transform(_base, c -> struct(c.start, c.kind, c.end))"
-    better = "(b.score > c.score OR (b.score = c.score AND (b.start < c.start OR (b.start = c.start AND b.kind < c.kind))))"
-    free = f"NOT exists(_base, b -> {_overlap('b', 'c')}) AND NOT exists(_added, b -> {better} AND {_overlap('b', 'c')})"
-    return F.expr(f"array_sort(concat({base}, transform(filter(_added, c -> {free}), c -> struct(c.start, c.kind, c.end))))")
+    Of accepted candidates that overlap in a chain the best one is added.  A cut
+    is a chain of overlapping spans and has the kind of the first.
+    """
+    kept = found.filter("state <> 0").withColumn("score", F.when(F.col("state") == 1, F.lit(math.inf)).otherwise(F.expr(model.sql("x"))))
+    kept = kept.filter(f"state = 1 OR score >= {model.limit()}")
 
+    def chained(rows: DataFrame, *group: str) -> DataFrame:
+        along = Window.partitionBy(*TEXT, *group).orderBy("start", "end", "kind")
+        new = F.coalesce(F.max("end").over(along.rowsBetween(Window.unboundedPreceding, -1)) <= F.col("start"), F.lit(True))
+        return rows.withColumn("_new", new.cast("int")).withColumn("_chain", F.sum("_new").over(along))
 
-def with_spans(candidates: DataFrame, model: CandidateModel) -> DataFrame:
-    """Add ``_spans``: (start, kind, end) in order."""
-    scored = f"transform(filter(_other, c -> c.label = -1 AND {model.accepts('c')}), c -> struct(c.kind, c.start, c.end, {model.sql('c.x')} AS score))"
-    return candidates.withColumn("_added", F.expr(scored)).withColumn("_spans", _chosen())
+    best = Window.partitionBy(*TEXT, "state", "_chain").orderBy(F.desc("score"), "start", "kind")
+    one = chained(kept, "state").withColumn("_rank", F.row_number().over(best)).filter("state = 1 OR _rank = 1")
+    span = F.struct("start", "kind", "end")
+    cuts = chained(one).groupBy(*TEXT, "_chain").agg(F.min("start").alias("start"), F.min(F.struct("start", "end", "kind"))["kind"].alias("kind"), F.max("end").alias("end"), F.collect_list(F.when(F.col("state") == 1, span)).alias("base"), F.collect_list(span).alias("spans"))
+    listed = [F.array_sort(F.flatten(F.collect_list(c))).alias(c) for c in ("base", "spans")]
+    return cuts.groupBy(*TEXT).agg(*listed, F.array_sort(F.collect_list(span)).alias("cuts"))
 
 
 def _listed(spans: str) -> Column:
@@ -288,30 +324,38 @@ def _listed(spans: str) -> Column:
     return F.expr(f"array_join(transform({spans}, s -> concat({names}[s.kind], ':', s.start, ':', s.end)), ',')")
 
 
+def found_spans(docs: DataFrame) -> DataFrame:
+    found = save(candidates(docs), "candidates")
+    return spans_of(found, fit(found))
+
+
 def find_spans(docs: DataFrame) -> DataFrame:
     """doc_id, the numbers of base spans, base_spans and spans as text, base_sha256 and n_added."""
-    rows = docs.select("doc_id", F.coalesce("text", F.lit("")).alias("_text"))
-    found = save(with_candidates(rows).select("doc_id", "_base", "_known", "_other"), "candidates")
-    spans = with_spans(found, fit(found)).withColumn("_sorted", F.expr("array_sort(transform(_base, c -> struct(c.start, c.kind, c.end)))"))
-    counts = [F.size(F.filter("_base", lambda c, k=k: c["kind"] == k)).cast("bigint").alias(f"n_{n}") for k, n in enumerate(KINDS)]
-    return spans.select("doc_id", *counts, _listed("_sorted").alias("base_spans"), F.sha2(_listed("_sorted"), 256).alias("base_sha256"), _listed("_spans").alias("spans"), (F.size("_spans") - F.size("_base")).alias("n_added"))
+    rows = docs.select("doc_id", *text_keys(F.coalesce("text", F.lit(""))))
+    spans = rows.join(found_spans(docs), list(TEXT), "left")
+    none = F.expr("CAST(array() AS array<struct<start:int,kind:int,end:int>>)")
+    spans = spans.withColumns({c: F.coalesce(c, none) for c in ("base", "spans")})
+    counts = [F.size(F.filter("base", lambda c, k=k: c["kind"] == k)).cast("bigint").alias(f"n_{n}") for k, n in enumerate(KINDS)]
+    return spans.select("doc_id", *counts, _listed("base").alias("base_spans"), F.sha2(_listed("base"), 256).alias("base_sha256"), _listed("spans").alias("spans"), (F.size("spans") - F.size("base")).alias("n_added"))
 
 
 def redact(docs: DataFrame) -> DataFrame:
     """The rows of ``docs`` with every span of the text replaced by its kind in angle brackets; n_chars follows, where it is there.
 
-    Of overlapping base spans the one that starts first is replaced, to the end of the last of them.
+    Of overlapping spans the one that starts first is replaced, to the end of the last of them.
     """
-    rows = docs.withColumn("_text", F.coalesce("text", F.lit("")))
-    model = fit(with_candidates(rows.select("doc_id", "_text")))
+    keys = [f"_{t}" for t in TEXT]
+    cuts = found_spans(docs).select(*[F.col(t).alias(k) for t, k in zip(TEXT, keys, strict=True)], F.col("cuts").alias("_cuts"))
+    rows = docs.withColumns(dict(zip(keys, text_keys(F.coalesce("text", F.lit(""))), strict=True))).join(cuts, keys, "left")
+    # For each code point: 0 stays, -1 goes, k + 1 gives way to the name of kind k.
+    marks = """flatten(zip_with(_cuts, concat(array(0), transform(_cuts, s -> s.end)), (s, had) ->
+        CASE WHEN s IS NULL THEN array_repeat(0, length(text) - had) ELSE concat(array_repeat(0, s.start - had), array(s.kind + 1), array_repeat(-1, s.end - s.start - 1)) END))"""
     names = "array(" + ", ".join(f"'<{k.upper()}>'" for k in KINDS) + ")"
-    replaced = f"""aggregate(_spans, struct(0 AS at, '' AS out),
-        (had, s) -> struct(greatest(had.at, s.end) AS at,
-            CASE WHEN s.start >= had.at THEN concat(had.out, substring(_text, had.at + 1, s.start - had.at), {names}[s.kind]) ELSE had.out END AS out),
-        had -> concat(had.out, substring(_text, had.at + 1)))"""
-    done = with_spans(with_candidates(rows), model).withColumn("text", F.when(F.size("_spans") > 0, F.expr(replaced)).otherwise(F.col("text")))
+    replaced = f"array_join(zip_with(split(text, ''), {marks}, (c, m) -> CASE WHEN m = 0 THEN c WHEN m = -1 THEN '' ELSE {names}[m - 1] END), '')"
+    some = F.col("_cuts").isNotNull()
+    done = rows.withColumn("text", F.when(some, F.expr(replaced)).otherwise(F.col("text")))
     if "n_chars" in docs.columns:
-        done = done.withColumn("n_chars", F.when(F.size("_spans") > 0, F.length("text")).otherwise(F.col("n_chars")).cast(docs.schema["n_chars"].dataType))
+        done = done.withColumn("n_chars", F.when(some, F.length("text")).otherwise(F.col("n_chars")).cast(docs.schema["n_chars"].dataType))
     return done.select(*docs.columns)
 
 
