@@ -8,7 +8,8 @@ word with the least ``ln c - r * (t - b + 1)`` is the sample, together with its
 Jaccard similarity, the sum of the lesser weights over that of the greater ones.
 
 A gamma(2, 1) variate is minus the logarithm of the product of two uniform ones,
-which are bits of a hash.  Everything is DataFrame expressions: a text's words are sorted by their 64-bit hash in the row, where equal
+which are 13 bits each of one 64-bit hash (12 for ``b``).  Everything is DataFrame
+expressions: a text's words are sorted by their 64-bit hash in the row, where equal
 neighbours are counted, and the samples are minima of 64-bit numbers that an
 aggregation combines, some of them in each of its rows.  The likeness of two
 texts is in steps of one in ``SAMPLES``, with a standard error of at most 0.0625
@@ -16,8 +17,10 @@ at 64 samples.
 
 Null texts count as empty; a text without words has the fingerprint of no
 samples, which is like itself only.  Equal texts have equal fingerprints.  Rows
-with equal doc_id are followed by each other in the order of their text; rows
-that are equal in doc_id, text and follower are answered once.
+with equal doc_id are followed by each other in the order of their text, equal
+rows in any order, each with a result of its own; rows without doc_id are followed
+by themselves.  A very long text is one row of words at a time; other columns are
+ignored; an empty table gives an empty result.
 """
 
 from __future__ import annotations
@@ -65,18 +68,18 @@ def signatures(rows: DataFrame, keys: list[str], n_samples: int = SAMPLES) -> Da
     parts = list(range(-(-n_samples // PER_ROW)))
     bags = with_bag(rows.select(*keys, "text")).select(*keys, "bag", F.explode(F.lit(parts)).alias("part"))
     terms = bags.select(*keys, "part", F.explode_outer("bag").alias("w"))
-    terms = terms.select(*keys, "part", F.col("w.term").alias("term"), F.log("w.n").alias("ln_weight"), F.xxhash64("w.term", "part").alias("drawn"))
+    terms = terms.select(*keys, "part", F.shiftrightunsigned("w.term", 32).alias("low"), F.log("w.n").alias("ln_weight"), F.xxhash64("w.term", "part").alias("drawn"))
     least = []
     for k in range(PER_ROW):
-        one, two = (F.xxhash64(F.col("drawn").bitwiseXOR(F.lit(x).cast("bigint"))) for x in (2 * k, 2 * k + 1))
-        r = -F.log(_uniform(one, 0, 21) * _uniform(one, 21, 21))
-        ln_c = F.log(-F.log(_uniform(two, 0, 32) * _uniform(two, 32, 32)))
-        b = _uniform(one, 42, 22)
+        bits = F.xxhash64(F.col("drawn").bitwiseXOR(F.lit(k).cast("bigint")))
+        r = -F.log(_uniform(bits, 0, 13) * _uniform(bits, 13, 13))
+        ln_c = F.log(-F.log(_uniform(bits, 26, 13) * _uniform(bits, 39, 13)))
+        b = _uniform(bits, 52, 12)
         t = F.floor(F.col("ln_weight") / r + b)
         rank = ln_c - r * (t - b + 1)
         # The rank to 2 ** -22 in the upper half, the drawn (term, t) in the lower one.
         key = F.shiftleft(F.greatest(F.least(F.floor(rank * (1 << 22)), F.lit((1 << 31) - 1)), F.lit(-(1 << 31))), 32)
-        least.append(F.min(key.bitwiseOR(F.shiftrightunsigned(F.xxhash64("term", t), 32))).alias(f"s{k}"))
+        least.append(F.min(key.bitwiseOR(F.col("low").bitwiseXOR(t.bitwiseAND(F.lit(0xFFFFFFFF))))).alias(f"s{k}"))
     # The rank is of no use once the least is found: what was drawn is kept as a 32-bit number.
     drawn = [F.shiftright(F.shiftleft(f"s{k}", 32), 32).cast("int") for k in range(PER_ROW)]
     found = terms.groupBy(*keys, "part").agg(*least).select(*keys, "part", F.when(F.col("s0").isNotNull(), F.array(*drawn)).alias("some"))
@@ -97,16 +100,19 @@ def likeness(a: Column, b: Column, n_samples: int = SAMPLES) -> Column:
 
 
 def with_next(docs: DataFrame) -> DataFrame:
-    """Add next_text, next_id and the bucket: the next document in descending doc_id, after the last the first.
+    """Add next_text, next_id, bucket and place: the next document in descending doc_id, after the last the first.
 
-    Rows are put in buckets that are ranges of doc_id, so that no task orders the
+    Rows without doc_id are followed by themselves.  Bucket (null for these) and
+    place are one row's only.  Rows are put in buckets that are ranges of doc_id, so that no task orders the
     whole table; each bucket also gets the row that follows it, the first of the
     bucket below.
     """
+    own = docs.filter(F.col("doc_id").isNull())
+    own = own.select("doc_id", "text", F.col("doc_id").alias("next_id"), F.col("text").alias("next_text"), F.lit(None).cast("bigint").alias("bucket"), F.monotonically_increasing_id().alias("place"))
     docs = docs.filter(F.col("doc_id").isNotNull())
     n = docs.count()
     if n == 0:
-        return docs.select("doc_id", "text", F.col("doc_id").alias("next_id"), F.col("text").alias("next_text"), F.lit(0).cast("bigint").alias("bucket"))
+        return own
     n_ranges = min(MOST_RANGES, parts_for(n, BUCKET_ROWS))
     cuts = docs.select(F.percentile_approx("doc_id", [i / n_ranges for i in range(n_ranges + 1)], 20 * MOST_RANGES)).head()[0]
     low, high = docs.agg(F.min("doc_id"), F.max("doc_id")).head()
@@ -140,7 +146,8 @@ def with_next(docs: DataFrame) -> DataFrame:
     ring = placed.select("doc_id", "text", "bucket", F.lit(0).alias("ghost")).unionByName(ghosts)
     down = Window.partitionBy("bucket").orderBy("ghost", F.desc("doc_id"), F.desc("text"))
     followed = ring.withColumns({"next_id": F.lead("doc_id").over(down), "next_text": F.lead("text").over(down)})
-    return followed.filter(F.col("ghost") == 0).select("doc_id", "text", "next_id", "next_text", "bucket")
+    followed = followed.withColumn("place", F.row_number().over(down).cast("bigint")).filter(F.col("ghost") == 0)
+    return followed.select("doc_id", "text", "next_id", "next_text", "bucket", "place").unionByName(own)
 
 
 def op4_document_fingerprints(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -148,9 +155,9 @@ def op4_document_fingerprints(spark: SparkSession, sf_dir: str) -> DataFrame:
     kept = F.substring(F.col("text"), F.lit(1), F.length("text") - half)
     edited = F.concat(kept, F.substring(F.col("next_text"), F.lit(1), half))
     # The rows lie by bucket; with it among the keys nothing is shuffled for the samples.
-    pair = ["bucket", "doc_id", "own", "next_id", "follower"]
+    pair = ["bucket", "place", "doc_id", "own", "next_id", "follower"]
     pairs = with_next(text_rows(documents(spark, sf_dir))).select(
-        "bucket", "doc_id", F.xxhash64("text").alias("own"), "next_id", F.xxhash64("next_text").alias("follower"), F.length("text").cast("bigint").alias("n_chars"), "text", edited.alias("edited")
+        "bucket", "place", "doc_id", F.xxhash64("text").alias("own"), "next_id", F.xxhash64("next_text").alias("follower"), F.length("text").cast("bigint").alias("n_chars"), "text", edited.alias("edited")
     )
     sides = F.explode(F.array(F.struct(F.col("text"), F.lit("").alias("edited_sha256")), F.struct(F.col("edited").alias("text"), F.sha2("edited", 256).alias("edited_sha256"))))
     rows = pairs.select(*pair, "n_chars", sides.alias("s")).select(*pair, "n_chars", "s.*")
@@ -166,5 +173,5 @@ def op4_document_fingerprints(spark: SparkSession, sf_dir: str) -> DataFrame:
         fingerprint(F.col("a")).alias("fingerprint"),
         fingerprint(F.col("b")).alias("edited_fingerprint"),
         likeness(F.col("a"), F.col("b")).alias("near_edited"),
-        likeness(F.col("a"), F.col("c")).alias("near_next"),
+        F.when(F.col("doc_id").isNull(), 1.0).otherwise(likeness(F.col("a"), F.col("c"))).alias("near_next"),
     )
