@@ -9,16 +9,22 @@ The score of a text is the logarithm of its probability, so -log2 of it over its
 bytes is the code length per byte.
 
 The corpus is cut into blocks.  Every block sends the distinct contexts-with-byte
-and words it has, with their counts in training texts, to shards; a shard holds
-whole subtrees below two bytes of context, and answers every block with the
-probabilities it asked for.  Only the nodes above that, at most 256 * 255 of them,
-come to the driver.  So nothing grows on one machine, and the counts cover all
-training texts.  A word unigram score with additive smoothing is worked out on
-the way by the same exchange.
-
-Null and empty texts are the end byte alone; repeated rows are scored each for
-itself; other columns are ignored; without training texts all estimates are even.
-Words are told apart by a 63-bit hash.
+and words it has, with their counts in training texts, to shards.  A shard adds
+them up as they come and holds each distinct one once, whole subtrees below two
+bytes of context, whose nodes it makes piece by piece; it answers every block, one
+request at a time, with the probabilities it asked for.  Only the nodes above, at
+most 256 * 255 of them, come to the driver.  The subtree of the most frequent pair
+of bytes is not divided: the memory of a shard is at least 24 bytes for each
+distinct context-with-byte in it.  The counts cover all training texts, and what
+is kept grows with them.  A word unigram score with additive smoothing is worked
+out on the way by the same exchange.
+
+Null and empty texts are the end byte alone; repeated rows, and rows without
+doc_id, are scored each for itself; a very long text is a slice of its own; other
+columns are ignored; equal keys are added up, so ties don't occur; an empty table
+gives an empty result; without training texts all estimates are even.  Words are
+told apart by a 63-bit hash, and the logarithm of a byte's probability is sent as
+a 32-bit number.
 """
 
 from __future__ import annotations
@@ -28,22 +34,39 @@ from collections.abc import Iterator
 import numpy as np
 import pyarrow as pa
 import pyarrow.compute as pc
+import zstandard
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from dgprop.llm.common import documents, parts_for, save, shuffle_partitions
 from dgprop.llm.textblocks import LOWER, mix, slices, word_hashes, word_spans
 
-DEPTH = 4
-#: Context bytes whose nodes the driver sums up.
+DEPTH = 6
+#: Context bytes that decide on the shard; the driver sums up the nodes of fewer.
 TOP = 2
 END = 10
-#: Bytes of text in a block where blocks can't follow the files.
+#: Bytes of text in a block, about; of a file's part, its bytes on disk.
 BLOCK_BYTES = 16 << 20
-_SENT = "block bigint, shard int, kind int, keys binary, counts binary"
+#: Keys in one row that is sent, and keys whose nodes are made at a time.
+ROW_KEYS, PIECE_KEYS = 1 << 16, 1 << 16
+_SENT = "block bigint, shard int, kind int, at int, keys binary, counts binary"
 _MERGE_AT = 1 << 22
 
 
+def packed(values: np.ndarray) -> bytes:
+    """Numbers as bytes, first bytes first: sorted 64-bit keys by their differences, others as they are."""
+    if values.dtype == np.uint64:
+        values = np.diff(values, prepend=np.uint64(0))
+    planes = np.ascontiguousarray(values.view(np.uint8).reshape(-1, values.itemsize).T)
+    return zstandard.compress(planes.tobytes(), 1)
+
+
+def unpacked(data: bytes, kind: type) -> np.ndarray:
+    planes = np.frombuffer(zstandard.decompress(data), np.uint8).reshape(np.dtype(kind).itemsize, -1)
+    values = np.ascontiguousarray(planes.T).view(kind).reshape(-1)
+    return np.cumsum(values, dtype=np.uint64) if kind == np.uint64 else values
+
+
 def byte_stream(data: np.ndarray, off: np.ndarray, depth: int = DEPTH) -> tuple[np.ndarray, np.ndarray, np.ndarray, tuple]:
     """The texts as one stream, each after ``depth`` end bytes; which places are symbols; each text's first place; word spans."""
     starts, ends, row = word_spans(data, off)
@@ -148,19 +171,32 @@ def log_estimate(n0: np.ndarray, n1: np.ndarray) -> np.ndarray:
     return _log_gamma(n0 + 0.5) + _log_gamma(n1 + 0.5) - _log_gamma(n0 + n1 + 1.0) - np.log(np.pi)
 
 
+_SMALL = 64
+_SMALL_ESTIMATES = log_estimate(*np.meshgrid(np.arange(_SMALL, dtype=float), np.arange(_SMALL, dtype=float), indexing="ij"))
+
+
+def log_estimates(n0: np.ndarray, n1: np.ndarray) -> np.ndarray:
+    """The same, where most counts are small whole numbers."""
+    out = _SMALL_ESTIMATES[np.minimum(n0, _SMALL - 1).astype(np.int64), np.minimum(n1, _SMALL - 1).astype(np.int64)]
+    large = np.maximum(n0, n1) >= _SMALL
+    out[large] = log_estimate(n0[large], n1[large])
+    return out
+
+
 class _Nodes:
     """The nodes of one depth for one of the eight decisions, in the order of their keys (context, bits so far)."""
 
     def __init__(self, keys: np.ndarray, counts: np.ndarray, j: int) -> None:
         key = keys >> np.uint64(8 - j)
-        at = np.flatnonzero(np.concatenate(([True], key[1:] != key[:-1]))) if len(key) else np.zeros(0, np.int64)
+        new = np.concatenate((np.ones(min(1, len(key)), bool), key[1:] != key[:-1]))
+        at = np.flatnonzero(new)
         self.bit = (keys >> np.uint64(7 - j) & np.uint64(1)).astype(bool)
         self.keys = key[at]
-        self.of = np.cumsum(np.isin(np.arange(len(key)), at, assume_unique=True)) - 1
+        self.of = np.cumsum(new) - 1
         n = counts.astype(float)
         self.n1 = np.add.reduceat(np.where(self.bit, n, 0), at) if len(at) else n[:0]
-        self.n0 = np.add.reduceat(np.where(self.bit, 0, n), at) if len(at) else n[:0]
-        self.log_own = log_estimate(self.n0, self.n1)
+        self.n0 = (np.add.reduceat(n, at) if len(at) else n[:0]) - self.n1
+        self.log_own = log_estimates(self.n0, self.n1)
         self.log_mixed = self.log_own
 
     def mix_with(self, log_children: np.ndarray) -> None:
@@ -181,51 +217,101 @@ def _parent_keys(keys: np.ndarray, bits: int) -> np.ndarray:
     return keys >> np.uint64(bits + 8) << np.uint64(bits) | keys & low
 
 
-class Subtrees:
-    """All nodes of depths ``TOP`` to ``DEPTH`` over the given keys, weighted from below."""
+class _Piece:
+    """All nodes of depths ``TOP + 1`` to ``DEPTH`` over keys that share no such node with others, weighted from below."""
 
     def __init__(self, keys: np.ndarray, counts: np.ndarray) -> None:
         tables = {DEPTH: (keys, counts)}
-        for d in range(DEPTH - 1, TOP - 1, -1):
+        for d in range(DEPTH - 1, TOP, -1):
             tables[d] = summed(_parent_keys(tables[d + 1][0], 8), tables[d + 1][1])
         self.tables = tables
         self.levels = {d: [_Nodes(*tables[d], j) for j in range(8)] for d in tables}
-        for d in range(DEPTH - 1, TOP - 1, -1):
+        for d in range(DEPTH - 1, TOP, -1):
             for j in range(8):
                 mine, below = self.levels[d][j], self.levels[d + 1][j]
                 place = np.searchsorted(mine.keys, _parent_keys(below.keys, j))
                 mine.mix_with(np.bincount(place, weights=below.log_mixed, minlength=len(mine.keys)))
 
-    def summary(self) -> tuple[np.ndarray, ...]:
-        """For the nodes one byte up: latest byte, node (1 to 255), n0, n1, sum of the logarithms of these nodes."""
+    def above(self) -> list[np.ndarray]:
+        """For the nodes one byte up: context, node (1 to 255), n0, n1, sum of the logarithms of these nodes."""
         out: list[list[np.ndarray]] = [[], [], [], [], []]
-        for j, nodes in enumerate(self.levels[TOP]):
+        for j, nodes in enumerate(self.levels[TOP + 1]):
             up, place = np.unique(_parent_keys(nodes.keys, j), return_inverse=True)
             out[0].append((up >> np.uint64(j)).astype(np.int64))
             out[1].append((up & np.uint64((1 << j) - 1)).astype(np.int64) | 1 << j)
             for o, w in zip(out[2:], (nodes.n0, nodes.n1, nodes.log_mixed), strict=True):
                 o.append(np.bincount(place, weights=w, minlength=len(up)))
-        return tuple(np.concatenate(o) for o in out)
+        return [np.concatenate(o) for o in out]
 
-    def log_chances(self, top: TopNodes) -> np.ndarray:
-        """For each key the logarithm of the probability of its byte after its context."""
-        keys = self.tables[DEPTH][0]
-        total = np.zeros(len(keys))
-        rows = {DEPTH: np.arange(len(keys))}
-        for d in range(DEPTH - 1, TOP - 1, -1):
+    def chances(self) -> list[np.ndarray]:
+        """For each decision and key the probability of its bit by these depths."""
+        rows = {DEPTH: np.arange(len(self.tables[DEPTH][0]))}
+        for d in range(DEPTH - 1, TOP, -1):
             rows[d] = np.searchsorted(self.tables[d][0], _parent_keys(self.tables[d + 1][0], 8))[rows[d + 1]]
-        symbol, latest = (keys & np.uint64(255)).astype(np.int64), (keys >> np.uint64(8 * DEPTH)).astype(np.int64)
+        out = []
         for j in range(8):
             p = self.levels[DEPTH][j].chance()
-            for d in range(DEPTH - 1, TOP - 1, -1):
+            for d in range(DEPTH - 1, TOP, -1):
                 nodes, r = self.levels[d][j], rows[d]
                 share = nodes.own_share()[nodes.of][r]
                 p = share * nodes.chance()[r] + (1 - share) * p
-            node, bit = symbol >> (8 - j) | 1 << j, symbol >> (7 - j) & 1
-            for share, one in ((top.share1[latest, node], top.one1[latest, node]), (top.share0[node], top.one0[node])):
-                p = share * np.where(bit, one, 1 - one) + (1 - share) * p
-            total += np.log(p)
-        return total
+            out.append(p)
+        return out
+
+
+class Subtrees:
+    """The subtrees below ``TOP`` bytes of context over the given sorted keys; ``middle`` are the sums for their roots, if known."""
+
+    def __init__(self, keys: np.ndarray, counts: np.ndarray, middle: list[np.ndarray] | None = None) -> None:
+        self.keys, self.counts = keys, counts
+        if middle is None:
+            parts = [_Piece(keys[a:b], counts[a:b]).above() for a, b in self._pieces()]
+            middle = [np.concatenate(c) for c in zip(*parts, strict=True)] if parts else [np.zeros(0, np.int64)] * 2 + [np.zeros(0)] * 3
+        self.middle = middle
+        self.contexts = np.unique(middle[0])
+        at = (np.searchsorted(self.contexts, middle[0]), middle[1])
+        self.n0, self.n1, below = np.zeros((3, len(self.contexts), 256))
+        for table, values in zip((self.n0, self.n1, below), middle[2:], strict=True):
+            np.add.at(table, at, values)
+        self.log_own = log_estimates(self.n0, self.n1)
+        self.log_mixed = np.log(0.5) + np.logaddexp(self.log_own, below)
+
+    def _pieces(self) -> Iterator[tuple[int, int]]:
+        """Ranges of about ``PIECE_KEYS`` keys, cut between contexts of ``TOP + 1`` bytes."""
+        root, a = self.keys >> np.uint64(8 * (DEPTH - TOP)), 0
+        while a < len(root):
+            last = root[min(a + PIECE_KEYS, len(root)) - 1]
+            b = int(np.searchsorted(root, last))
+            b = len(root) if a + PIECE_KEYS >= len(root) else b if b > a else int(np.searchsorted(root, last, "right"))
+            yield a, b
+            a = b
+
+    def summary(self) -> tuple[np.ndarray, ...]:
+        """For the nodes one byte up: latest byte, node (1 to 255), n0, n1, sum of the logarithms of these nodes."""
+        used = np.unique(np.searchsorted(self.contexts, self.middle[0]) * 256 + self.middle[1])
+        context, node = used // 256, used % 256
+        up, place = np.unique((self.contexts[context] >> 8) * 256 + node, return_inverse=True)
+        sums = [np.bincount(place, weights=t.reshape(-1)[used], minlength=len(up)) for t in (self.n0, self.n1, self.log_mixed)]
+        return up // 256, up % 256, *sums
+
+    def log_chances(self, top: TopNodes) -> np.ndarray:
+        """For each key the logarithm of the probability of its byte after its context."""
+        out = np.zeros(len(self.keys))
+        share2 = np.exp(np.log(0.5) + self.log_own - self.log_mixed)
+        one2 = (self.n1 + 0.5) / (self.n0 + self.n1 + 1)
+        for a, b in self._pieces():
+            keys = self.keys[a:b]
+            symbol = (keys & np.uint64(255)).astype(np.int64)
+            row = np.searchsorted(self.contexts, (keys >> np.uint64(8 * (DEPTH + 1 - TOP))).astype(np.int64))
+            latest = (keys >> np.uint64(8 * DEPTH)).astype(np.int64)
+            total = np.zeros(b - a)
+            for j, p in enumerate(_Piece(keys, self.counts[a:b]).chances()):
+                node, bit = symbol >> (8 - j) | 1 << j, symbol >> (7 - j) & 1
+                for share, one in ((share2[row, node], one2[row, node]), (top.share1[latest, node], top.one1[latest, node]), (top.share0[node], top.one0[node])):
+                    p = share * np.where(bit, one, 1 - one) + (1 - share) * p
+                total += np.log(p)
+            out[a:b] = total
+        return out
 
 
 class TopNodes:
@@ -247,13 +333,15 @@ class TopNodes:
 
 
 def with_blocks(docs: DataFrame, training: Column) -> DataFrame:
-    """block, doc_id, text, trained; blocks are the parts of files that tasks read, or hashes of rows where there are none."""
+    """block, doc_id, text, trained; blocks are in the parts of files that tasks read, or hashes of rows where there are none."""
+    row = F.xxhash64("doc_id", "text")
     if docs.inputFiles():
-        block: Column = F.xxhash64(F.input_file_name(), F.input_file_block_start())
+        deal = F.pmod(row, F.greatest(F.lit(1), F.ceil(F.input_file_block_length() / BLOCK_BYTES)))
+        block: Column = F.xxhash64(F.input_file_name(), F.input_file_block_start(), deal)
     else:
         total = docs.agg(F.coalesce(F.sum(F.octet_length("text")), F.lit(0))).head()[0]
         n = max(shuffle_partitions(docs.sparkSession), parts_for(total, BLOCK_BYTES))
-        block = F.pmod(F.xxhash64("doc_id", "text"), F.lit(n)).cast("bigint")
+        block = F.pmod(row, F.lit(n)).cast("bigint")
     return docs.select(block.alias("block"), "doc_id", F.coalesce("text", F.lit("")).alias("text"), training.alias("trained"))
 
 
@@ -285,20 +373,94 @@ def send_keys(rows: DataFrame, shards: int) -> DataFrame:
                 order = np.argsort(shard, kind="stable")
                 bounds = np.searchsorted(shard[order], np.arange(shards + 1))
                 for s in np.flatnonzero(np.diff(bounds)).tolist():
-                    at = order[bounds[s] : bounds[s + 1]]
-                    yield pa.RecordBatch.from_pydict({"block": pa.array([b], pa.int64()), "shard": pa.array([s], pa.int32()), "kind": pa.array([kind], pa.int32()), "keys": pa.array([keys[at].tobytes()], pa.binary()), "counts": pa.array([counts[at].astype(np.uint32).tobytes()], pa.binary())})
+                    for n, k in enumerate(range(bounds[s], bounds[s + 1], ROW_KEYS)):
+                        at = order[k : min(k + ROW_KEYS, bounds[s + 1])]
+                        yield pa.RecordBatch.from_pydict({"block": pa.array([b], pa.int64()), "shard": pa.array([s], pa.int32()), "kind": pa.array([kind], pa.int32()), "at": pa.array([n], pa.int32()), "keys": pa.array([packed(keys[at])], pa.binary()), "counts": pa.array([packed(counts[at].astype(np.uint32))], pa.binary())})
 
     from_files = bool(rows.inputFiles())
     return (rows if from_files else rows.repartition("block")).mapInArrow(work, _SENT)
 
 
-def _shard_sums(table: pa.Table, kind: int) -> tuple[np.ndarray, np.ndarray]:
-    rows = table.filter(pc.equal(table["kind"], kind))
-    keys = [np.frombuffer(k, np.uint64) for k in rows["keys"].to_pylist()]
-    counts = [np.frombuffer(k, np.uint32) for k in rows["counts"].to_pylist()]
-    if not keys:
-        return np.zeros(0, np.uint64), np.zeros(0, np.int64)
-    return summed(np.concatenate(keys), np.concatenate(counts).astype(np.int64))
+_MERGED = "shard int, kind int, part int, keys binary, counts binary, latest int, node int, n0 double, n1 double, below double"
+
+
+def _merged_rows(shard: int, kind: int, keys: np.ndarray, counts: np.ndarray) -> Iterator[pa.RecordBatch]:
+    """A shard's sums: its table in rows (part 1), the sums for the roots of its subtrees (part 0) and those for the driver (part 2)."""
+
+    def rows(part: int, **columns: list) -> pa.RecordBatch:
+        n = len(next(iter(columns.values())))
+        fixed = {"shard": [shard] * n, "kind": [kind] * n, "part": [part] * n}
+        types = (pa.int32(),) * 3 + (pa.binary(),) * 2 + (pa.int32(),) * 2 + (pa.float64(),) * 3
+        names = ("shard", "kind", "part", "keys", "counts", "latest", "node", "n0", "n1", "below")
+        return pa.RecordBatch.from_arrays([pa.array((fixed | columns).get(c, [None] * n), t) for c, t in zip(names, types, strict=True)], names)
+
+    for k in range(0, len(keys), ROW_KEYS):
+        yield rows(1, keys=[packed(keys[k : k + ROW_KEYS])], counts=[packed(counts[k : k + ROW_KEYS].astype(np.int64))])
+    if not kind:
+        yield rows(2, latest=[-1], node=[0], n0=[float(counts.sum())], n1=[float((counts > 0).sum())], below=[0.0])
+    elif len(keys):
+        trees = Subtrees(keys, counts)
+        yield rows(0, keys=[np.stack([c.astype(float) for c in trees.middle]).tobytes()])
+        latest, node, n0, n1, below = trees.summary()
+        yield rows(2, latest=latest, node=node, n0=n0, n1=n1, below=below)
+
+
+def merged_shards(sent: DataFrame, shards: int) -> DataFrame:
+    """The sums of all blocks, one shard after the other; a task holds a shard's distinct keys."""
+
+    def work(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        now, parts, size, least = None, [], 0, _MERGE_AT
+        for batch in batches:
+            for i in range(batch.num_rows):
+                key = (batch.column("shard")[i].as_py(), batch.column("kind")[i].as_py())
+                if key != now:
+                    if parts:
+                        yield from _merged_rows(*now, *_add_up(parts))
+                    now, parts, size, least = key, [], 0, _MERGE_AT
+                parts.append((unpacked(batch.column("keys")[i].as_py(), np.uint64), unpacked(batch.column("counts")[i].as_py(), np.uint32).astype(np.int64)))
+                size += len(parts[-1][0])
+                if size > least:
+                    parts = [_add_up(parts)]
+                    size = len(parts[0][0])
+                    least = max(_MERGE_AT, 2 * size)
+        if parts:
+            yield from _merged_rows(*now, *_add_up(parts))
+
+    return sent.select("shard", "kind", "keys", "counts").repartition(shards, "shard").sortWithinPartitions("shard", "kind").mapInArrow(work, _MERGED)
+
+
+def _add_up(parts: list[tuple[np.ndarray, np.ndarray]]) -> tuple[np.ndarray, np.ndarray]:
+    return summed(np.concatenate([p[0] for p in parts]), np.concatenate([p[1] for p in parts]))
+
+
+def answers_to(sent: DataFrame, merged: DataFrame, top, shards: int) -> DataFrame:
+    """For every row that was sent, what it asked: counts of words, or logarithms of the probabilities of bytes."""
+    tables = merged.filter("part < 2").select(F.lit(None).cast("bigint").alias("block"), "shard", "kind", "part", "keys", "counts", F.lit(0).alias("at"))
+    asked = sent.select("block", "shard", "kind", F.lit(3).alias("part"), "keys", F.lit(None).cast("binary").alias("counts"), "at")
+
+    def work(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        now, middle, parts, keys, values = None, None, [], None, None
+        for batch in batches:
+            for i in range(batch.num_rows):
+                shard, kind, part, data = (batch.column(c)[i].as_py() for c in ("shard", "kind", "part", "keys"))
+                if (shard, kind) != now:
+                    now, middle, parts, keys, values = (shard, kind), None, [], None, None
+                if part == 0:
+                    middle = np.frombuffer(data, float).reshape(5, -1)
+                    middle = [*middle[:2].astype(np.int64), *middle[2:]]
+                elif part == 1:
+                    parts.append((unpacked(data, np.uint64), unpacked(batch.column("counts")[i].as_py(), np.int64)))
+                else:
+                    if keys is None:
+                        order = np.argsort([p[0][0] for p in parts])
+                        keys, counts = (np.concatenate([parts[o][c] for o in order]) for c in (0, 1))
+                        values = Subtrees(keys, counts, middle).log_chances(top.value) if kind else counts
+                        parts = []
+                    found = values[np.searchsorted(keys, unpacked(data, np.uint64))].astype(np.float32 if kind else np.int64)
+                    yield pa.RecordBatch.from_pydict({"block": batch.column("block").slice(i, 1), "shard": pa.array([shard], pa.int32()), "kind": pa.array([kind], pa.int32()), "at": batch.column("at").slice(i, 1), "found": pa.array([packed(found)], pa.binary())})
+
+    both = tables.unionByName(asked).repartition(shards, "shard").sortWithinPartitions("shard", "kind", "part")
+    return both.mapInArrow(work, "block bigint, shard int, kind int, at int, found binary")
 
 
 def score_texts(docs: DataFrame, training: Column) -> DataFrame:
@@ -307,14 +469,8 @@ def score_texts(docs: DataFrame, training: Column) -> DataFrame:
     rows = with_blocks(docs, training)
     shards = max(shuffle_partitions(spark), len(docs.inputFiles()))
     sent = save(send_keys(rows, shards), "contexts")
-
-    def summarise(key: tuple, table: pa.Table) -> pa.Table:
-        del key
-        _, counts = _shard_sums(table, 0)
-        latest, node, n0, n1, below = Subtrees(*_shard_sums(table, 1)).summary()
-        return pa.table({"latest": np.append(latest, -1), "node": np.append(node, 0), "n0": np.append(n0, counts.sum()).astype(float), "n1": np.append(n1, (counts > 0).sum()).astype(float), "below": np.append(below, 0.0)})
-
-    by_node = sent.groupBy("shard").applyInArrow(summarise, "latest bigint, node bigint, n0 double, n1 double, below double").groupBy("latest", "node").agg(F.sum("n0").alias("n0"), F.sum("n1").alias("n1"), F.sum("below").alias("below"))
+    merged = save(merged_shards(sent, shards), "contexts")
+    by_node = merged.filter("part = 2").groupBy("latest", "node").agg(F.sum("n0").alias("n0"), F.sum("n1").alias("n1"), F.sum("below").alias("below"))
     found = sorted(tuple(r) for r in by_node.collect())  # at most 256 * 255 + 1 rows
     texts = rows.filter("trained").count()
     words = [f for f in found if f[0] < 0]
@@ -322,19 +478,7 @@ def score_texts(docs: DataFrame, training: Column) -> DataFrame:
     distinct = int(words[0][3] if words else 0) + (texts > 0)
     top_rows = np.array([f for f in found if f[0] >= 0] or np.zeros((0, 5)), float)
     top = spark.sparkContext.broadcast(TopNodes(top_rows[:, 0].astype(int), top_rows[:, 1].astype(int), *top_rows[:, 2:].T))
-
-    def answer(key: tuple, table: pa.Table) -> pa.Table:
-        out: dict[str, list] = {"block": [], "shard": [], "kind": [], "found": []}
-        for kind in (0, 1):
-            keys, counts = _shard_sums(table, kind)
-            values = Subtrees(keys, counts).log_chances(top.value) if kind else counts.astype(float)
-            for r in table.filter(pc.equal(table["kind"], kind)).select(["block", "keys"]).to_pylist():
-                at = np.searchsorted(keys, np.frombuffer(r["keys"], np.uint64))
-                for c, v in zip(out.values(), (r["block"], key[0].as_py(), kind, values[at].tobytes()), strict=True):
-                    c.append(v)
-        return pa.table({k: pa.array(v, t) for (k, v), t in zip(out.items(), (pa.int64(), pa.int32(), pa.int32(), pa.binary()), strict=True)})
-
-    answers = sent.groupBy("shard").applyInArrow(answer, "block bigint, shard int, kind int, found binary")
+    answers = answers_to(sent, merged, top, shards)
     per_token = np.log10(total + 0.5 * (distinct + 1))
 
     def score(left: pa.Table, right: pa.Table) -> pa.Table:
@@ -345,11 +489,11 @@ def score_texts(docs: DataFrame, training: Column) -> DataFrame:
             column = column.chunk(0) if isinstance(column, pa.ChunkedArray) else column
             known = []
             for kind, (keys, _) in enumerate(block_keys(column, np.zeros(n, bool))):
-                got = {r["shard"]: np.frombuffer(r["found"], float) for r in right.filter(pc.equal(right["kind"], kind)).select(["shard", "found"]).to_pylist()}
+                mine = right.filter(pc.equal(right["kind"], kind)).select(["shard", "at", "found"]).to_pylist()
                 shard, values = shard_of(keys, kind, shards), np.zeros(len(keys))
-                order = np.argsort(shard, kind="stable")
                 if len(keys):
-                    values[order] = np.concatenate([got[s] for s in sorted(got)])
+                    got = [unpacked(r["found"], np.float32 if kind else np.int64) for r in sorted(mine, key=lambda r: (r["shard"], r["at"]))]
+                    values[np.argsort(shard, kind="stable")] = np.concatenate(got)
                 known.append((keys, values))
             end_score = np.log10(texts + 0.5) - per_token
             for first, end, data, off in slices(column):
@@ -373,6 +517,7 @@ def score_texts(docs: DataFrame, training: Column) -> DataFrame:
 
 
 def op3_context_tree_score(spark: SparkSession, sf_dir: str) -> DataFrame:
-    docs = documents(spark, sf_dir).filter(F.col("doc_id").isNotNull())
-    scored = score_texts(docs, F.crc32(F.col("doc_id").cast("string")) % 5 != 1)
+    """Rows without doc_id are learnt from."""
+    training = F.coalesce(F.crc32(F.col("doc_id").cast("string")) % 5 != 1, F.lit(True))
+    scored = score_texts(documents(spark, sf_dir), training)
     return scored.select("doc_id", (~F.col("trained")).alias("held_out"), "n_tokens", "n_known", "train_tokens", "base_score", "score", "n_bytes", "bits_per_byte")
