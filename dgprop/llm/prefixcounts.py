@@ -7,8 +7,12 @@ once each; a text's prefix counts are theirs, summed up.  The result is kept as
 the change of the count at every code point, from which counts, truncations and
 budget splits follow without another encoding.
 
-Null and empty texts have no prefix and zero tokens; repeated rows give repeated
-rows; other columns are ignored.
+Texts with special strings or with characters whose class may be disputed are
+split by the library itself, in linear time; only where the pieces' counts then
+miss the library's total, which no known text does, is every prefix encoded.  Null
+and empty texts have no prefix and zero tokens; repeated rows, and rows without
+doc_id, are answered each; a very long text is worked on by itself, in time that
+grows with its length; other columns are ignored; an empty table gives an empty result.
 """
 
 from __future__ import annotations
@@ -23,13 +27,15 @@ import numpy as np
 import pandas as pd
 import pyarrow as pa
 import pyarrow.compute as pc
+import regex
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from dgprop.llm.common import documents, text_rows
-from dgprop.llm.tokens import REMEMBERED, PieceTable, byte_form, re
+from dgprop.llm.tokens import REMEMBERED, PieceTable, byte_form
 
 _COMPOSITE = re.compile(r"\s*\S+|\s+")
+_SPACE = regex.compile(r"\s+")
 
 
 class PrefixCounter(PieceTable):
@@ -129,18 +135,61 @@ class PrefixCounter(PieceTable):
         return len(self.tokenizer.encode(text, add_special_tokens=False).ids)
 
     def whole(self, text: str) -> bytes:
-        """For texts that can't be split here: the same, checked; else the library at every prefix."""
-        if self.pattern is not None and not (self.special and self.special.search(text)):
-            found = b"".join([self.value_of_run(r) for r in _COMPOSITE.findall(text)])
-            if int(np.frombuffer(found, "<i2").sum()) == self.library_count(text):
-                return found
-        if self.pattern is not None and self.special and (m := self.special.search(text)):
-            head, token, rest = text[: m.start()], m.group(), text[m.end() :]
-            first = self.deltas(head)
-            inside = [self.library_count(head), *(self.library_count(head + token[:j]) for j in range(1, len(token) + 1))]
-            return first + np.diff(inside).astype("<i2").tobytes() + self.deltas(rest)
+        """For texts that can't be split here: special strings are cut out, the rest is split by the library.
+
+        Up to its last character a special string counts as ordinary text.
+        """
+        out, at = [], 0
+        for m in self.special.finditer(text) if self.special else ():
+            before = self.ordinary(text[at : m.end() - 1])
+            counts = np.cumsum(np.frombuffer(before, "<i2"), dtype=np.int64)
+            head = int(counts[m.start() - at - 1]) if m.start() > at else 0
+            now = int(counts[-1]) if len(counts) else 0
+            out += [before, (head + 1 - now).to_bytes(2, "little", signed=True)]
+            at = m.end()
+        out.append(self.ordinary(text[at:]))
+        return b"".join(out)
+
+    def ordinary(self, text: str) -> bytes:
+        """For texts without a whole special string; the library's pieces, and where their sum is wrong, the library at every prefix."""
+        if not text:
+            return b""
+        if self.pattern is not None and self.normalizer is None:
+            runs = None if self.special and self.special.search(text) else super().split(text)
+            if runs is not None:
+                return b"".join(map(self.runs.__getitem__, _COMPOSITE.findall(text)))
+            pieces = [text[a:b] for _, (a, b) in self.tokenizer.pre_tokenizer.pre_tokenize_str(text)]
+            if "".join(pieces) == text:
+                counts = self.over(pieces)
+                if counts[-1] == self.library_count(text):
+                    return np.diff(counts).astype("<i2").tobytes()
         return np.diff([0, *(self.library_count(text[:i]) for i in range(1, len(text) + 1))]).astype("<i2").tobytes()
 
+    def over(self, pieces: list[str]) -> list[int]:
+        """Token counts of the prefixes of consecutive pieces; cut off in white space, all of that is one piece."""
+        out, i = [0], 0
+        while i < len(pieces):
+            base, space = out[-1], ""
+            total = base
+            while i < len(pieces) and _SPACE.fullmatch(pieces[i]):
+                space += pieces[i]
+                total += self.values[pieces[i]][-1]
+                i += 1
+            piece = pieces[i] if i < len(pieces) else ""
+            lead = 1 if space and piece[:1] == " " else 0
+            if space:
+                out += [base + c for c in self.values[space + piece[:lead]][1:]]
+                if not piece:
+                    out[-1] = total
+            if piece:
+                counts = self.values[piece]
+                if len(piece) == 3 and piece[0] == "'" and piece[1].isalpha():
+                    one = self.values["'"][-1]
+                    counts = [0, one, one + self.values[piece[1]][-1], counts[-1]]
+                out += [total + c for c in counts[1 + lead :]]
+                i += 1
+        return out
+
     def deltas(self, text: str) -> bytes:
         runs = self.split(text)
         return self.whole(text) if runs is None else b"".join(map(self.runs.__getitem__, runs))
