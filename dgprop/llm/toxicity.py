@@ -1,16 +1,21 @@
 """Toxicity by a linear classifier on character n-grams scaled by naive Bayes ratios.
 
-A text's features are its distinct character n-grams (of its UTF-8 bytes, A to Z
+A text's features are its distinct n-grams of characters (code points, A to Z
 lower-cased), hashed to ``2 ** BITS`` cells.  From labelled texts each cell gets
 the logarithm of the ratio of its shares among toxic and other texts, smoothed in
 proportion to the classes; a logistic regression then weighs the cells, each
 scaled by its ratio.  Scoring adds up one number for each distinct cell.
 
-The classifier is fitted on at most ``MOST_ROWS`` labelled rows, those of the
-least hash; everything that is collected is bounded by that and by the number of
-cells.  Scoring covers all rows and whole texts.  Null and empty texts have the
-score of no feature; a doc_id that is labelled more than once is toxic if one of
-its labels says so; without both classes the score is the share of toxic labels.
+The classifier is fitted on labelled rows of at most ``MOST_ROWS`` ids and
+``MOST_BYTES`` of text, those of the least hash; everything that is collected is
+bounded by that and by the number of cells.  A cell with a ratio of less than
+``LEAST_RATIO``, or in fewer than ``LEAST_TEXTS`` of these texts, has no weight.
+Scoring covers all rows and whole texts, a very long one by itself.  Null and empty
+texts have the score of no feature; a doc_id that is labelled more than once is
+toxic if one of its labels says so; repeated rows and rows without doc_id are
+scored each for itself, and all rows of a labelled id are learnt from; equal
+hashes are ordered by doc_id; other columns are ignored; an empty table gives an
+empty result; without both classes the score is the share of toxic labels.
 """
 
 from __future__ import annotations
@@ -30,6 +35,8 @@ BITS = 20
 ORDERS = (3, 4, 5, 6)
 #: Labelled rows that the classifier is fitted on, at most.
 MOST_ROWS = 12_000
+#: Bytes of their texts, at most.
+MOST_BYTES = 64 << 20
 #: Cells with a smaller ratio, or in fewer labelled texts, get no weight.
 LEAST_RATIO, LEAST_TEXTS = 1.0, 10
 #: Texts that smoothing adds, split between the classes as the labels are.
@@ -46,12 +53,15 @@ def cells_of(column: pa.Array, bits: int = BITS, orders: tuple[int, ...] = ORDER
         found = []
         with np.errstate(over="ignore"):
             np.cumsum(_BYTE_CODES[LOWER[data]] * up[:n], out=sums[1:])
-            row = np.repeat(np.arange(end - first, dtype=np.int64), np.diff(off))
+            at = np.append(np.flatnonzero((data & 0xC0) != 0x80), n)  # where characters start
+            row = np.searchsorted(off, at[:-1], "right") - 1
             for k in orders:
-                if n >= k:
-                    h = mix((sums[k:] - sums[: n - k + 1]) * down[: n - k + 1] + np.uint64(k))
-                    inside = row[: n - k + 1] == row[k - 1 :]
-                    found.append((row[: n - k + 1] << bits | (h >> shift).astype(np.int64))[inside])
+                if len(at) > k:
+                    a, b = at[:-k], at[k:]
+                    h = mix((sums[b] - sums[a]) * down[a] + (b - a).astype(np.uint64))
+                    of = row[: len(a)]
+                    inside = of == row[k - 1 :]
+                    found.append((of << bits | (h >> shift).astype(np.int64))[inside])
         keys = np.sort(np.concatenate(found)) if found else np.zeros(0, np.int64)
         if len(keys):
             keys = keys[np.concatenate(([True], keys[1:] != keys[:-1]))]
@@ -73,12 +83,21 @@ class ToxicityModel:
         return 1 / (1 + np.exp(-np.clip(out, -30, 30)))
 
 
-def training_rows(docs: DataFrame, labels: DataFrame, most_rows: int = MOST_ROWS) -> DataFrame:
-    """text and toxic of at most ``most_rows`` labelled documents that are not held out."""
+def training_rows(docs: DataFrame, labels: DataFrame, most_rows: int = MOST_ROWS, most_bytes: int = MOST_BYTES) -> DataFrame:
+    """text and toxic of the labelled documents that are not held out, as many as the limits allow, in the order of a hash."""
     learn = labels.filter(F.col("toxic").isNotNull() & F.col("doc_id").isNotNull()).groupBy("doc_id").agg(F.max("toxic").alias("toxic"))
     learn = learn.filter(F.crc32(F.col("doc_id").cast("string")) % 5 != 0).orderBy(F.xxhash64("doc_id"), "doc_id").limit(most_rows)
-    # As many rows as the limit says, so the broadcast is bounded.
-    return docs.select("doc_id", F.coalesce("text", F.lit("")).alias("text")).join(F.broadcast(learn), "doc_id").select("text", F.col("toxic").cast("int").alias("toxic"))
+    # As many ids as the limit says, so the broadcast and what is collected are bounded.
+    learn = F.broadcast(learn.withColumn("order", F.xxhash64("doc_id")))
+    sizes = docs.select("doc_id", F.octet_length("text").alias("size")).join(learn, "doc_id").groupBy("order", "doc_id").agg(F.sum("size").alias("size")).collect()
+    room, keep = most_bytes, []
+    for r in sorted(sizes, key=lambda r: (r["order"], r["doc_id"])):
+        room -= r["size"] or 0
+        if room < 0:
+            break
+        keep.append((r["doc_id"],))
+    kept = docs.sparkSession.createDataFrame(keep, "doc_id bigint")
+    return docs.select("doc_id", F.coalesce("text", F.lit("")).alias("text")).join(F.broadcast(learn.join(kept, "doc_id", "left_semi")), "doc_id").select("text", F.col("toxic").cast("int").alias("toxic"))
 
 
 def fit(rows: DataFrame, bits: int = BITS, rounds: int = 150, step: float = 0.02, penalty: float = 3e-4) -> ToxicityModel:
