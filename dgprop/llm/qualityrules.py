@@ -6,14 +6,16 @@ aggregation to vote patterns (at most 3 to the number of rules, whatever the
 input) holds all that expectation-maximisation needs.  It estimates, for each
 rule, how often it votes each way on good documents and on each of several kinds
 of bad ones (repetition is another fault than symbols, and one class for both
-takes the rarer fault for good), and the shares of the kinds.  On every kind a
+takes the rarer fault for good), and the shares of the kinds.  A fault
+that only one rule sees, and that is rare, can't be told from that rule's errors.  On every kind a
 vote is the likelier, against good documents, the worse it is, so a bad vote
 always lowers the posterior probability of "good", which takes the place of a
 filter that all rules must pass.
 
 All counts are row-local DataFrame expressions: no shuffle but that of the
 patterns.  Null and empty texts have no words, fail the base rule and are not
-kept; repeated rows are judged alike; other columns are passed on by
+kept; repeated rows, and rows without doc_id, are judged alike; a posterior that
+equals the threshold is enough; a very long text is one row of words and windows at a time; other columns are passed on by
 ``keep_good`` and ignored by ``judge``; an empty table gives an empty result.
 Windows of three words are compared by a 64-bit hash.
 """
