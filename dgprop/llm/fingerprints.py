@@ -28,7 +28,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from dgprop.llm.common import SPACES, WORD_GAP, documents, parts_for, save, text_rows
+from dgprop.llm.common import SPACES, WORD_GAP, documents, parts_for, text_rows
 
 SAMPLES = 64
 #: Samples that one aggregation row holds; more take several rows for each text.
@@ -99,16 +99,17 @@ def likeness(a: Column, b: Column, n_samples: int = SAMPLES) -> Column:
     return F.when(a.isNull() & b.isNull(), 1.0).when(a.isNull() | b.isNull(), 0.0).otherwise(same / n_samples)
 
 
-def with_next(docs: DataFrame) -> DataFrame:
-    """Add next_text, next_id, bucket and place: the next document in descending doc_id, after the last the first.
+def with_next(docs: DataFrame, ghosts: bool = False) -> DataFrame:
+    """Add next_text, next_id, bucket, place and ghost (1 for rows that stand for the next bucket's first, left out by default): the next document in descending doc_id, after the last the first.
 
-    Rows without doc_id are followed by themselves.  Bucket (null for these) and
+    Rows without doc_id are followed by themselves (in buckets below 0).  Bucket and
     place are one row's only.  Rows are put in buckets that are ranges of doc_id, so that no task orders the
     whole table; each bucket also gets the row that follows it, the first of the
     bucket below.
     """
     own = docs.filter(F.col("doc_id").isNull())
-    own = own.select("doc_id", "text", F.col("doc_id").alias("next_id"), F.col("text").alias("next_text"), F.lit(None).cast("bigint").alias("bucket"), F.monotonically_increasing_id().alias("place"))
+    alone = (-1 - F.pmod(F.xxhash64("text"), F.lit(1 << 20))).alias("bucket")
+    own = own.select("doc_id", "text", F.col("doc_id").alias("next_id"), F.col("text").alias("next_text"), alone, F.monotonically_increasing_id().alias("place"), F.lit(0).alias("ghost"))
     docs = docs.filter(F.col("doc_id").isNotNull())
     n = docs.count()
     if n == 0:
@@ -146,32 +147,30 @@ def with_next(docs: DataFrame) -> DataFrame:
     ring = placed.select("doc_id", "text", "bucket", F.lit(0).alias("ghost")).unionByName(ghosts)
     down = Window.partitionBy("bucket").orderBy("ghost", F.desc("doc_id"), F.desc("text"))
     followed = ring.withColumns({"next_id": F.lead("doc_id").over(down), "next_text": F.lead("text").over(down)})
-    followed = followed.withColumn("place", F.row_number().over(down).cast("bigint")).filter(F.col("ghost") == 0)
-    return followed.select("doc_id", "text", "next_id", "next_text", "bucket", "place").unionByName(own)
+    followed = followed.withColumn("place", F.row_number().over(down).cast("bigint"))
+    return (followed if ghosts else followed.filter(F.col("ghost") == 0)).select("doc_id", "text", "next_id", "next_text", "bucket", "place", "ghost").unionByName(own)
 
 
 def op4_document_fingerprints(spark: SparkSession, sf_dir: str) -> DataFrame:
     half = F.floor(F.length("text") / 2).cast("int")
     kept = F.substring(F.col("text"), F.lit(1), F.length("text") - half)
     edited = F.concat(kept, F.substring(F.col("next_text"), F.lit(1), half))
-    # The rows lie by bucket; with it among the keys nothing is shuffled for the samples.
-    pair = ["bucket", "place", "doc_id", "own", "next_id", "follower"]
-    pairs = with_next(text_rows(documents(spark, sf_dir))).select(
-        "bucket", "place", "doc_id", F.xxhash64("text").alias("own"), "next_id", F.xxhash64("next_text").alias("follower"), F.length("text").cast("bigint").alias("n_chars"), "text", edited.alias("edited")
-    )
-    sides = F.explode(F.array(F.struct(F.col("text"), F.lit("").alias("edited_sha256")), F.struct(F.col("edited").alias("text"), F.sha2("edited", 256).alias("edited_sha256"))))
-    rows = pairs.select(*pair, "n_chars", sides.alias("s")).select(*pair, "n_chars", "s.*")
-    made = signatures(rows, [*pair, "n_chars", "edited_sha256"])
+    # The rows lie by bucket; with it among the keys nothing more is shuffled, and the next document's samples stand in the next place.
+    key = ["bucket", "place", "doc_id", "ghost", "n_chars"]
+    rows = with_next(text_rows(documents(spark, sf_dir)), ghosts=True).select("bucket", "place", "doc_id", "ghost", F.length("text").cast("bigint").alias("n_chars"), "text", edited.alias("edited"))
+    sides = F.array(F.struct(F.col("text"), F.lit("").alias("edited_sha256")), F.struct(F.col("edited").alias("text"), F.sha2("edited", 256).alias("edited_sha256")))
+    rows = rows.select(*key, F.explode(F.when(F.col("ghost") == 0, sides).otherwise(F.slice(sides, 1, 1))).alias("s")).select(*key, "s.*")
+    made = signatures(rows, [*key, "edited_sha256"])
     is_own = F.col("edited_sha256") == ""
-    both = made.groupBy(*pair, "n_chars").agg(F.max("edited_sha256").alias("edited_sha256"), F.max(F.when(is_own, F.col("samples"))).alias("a"), F.max(F.when(~is_own, F.col("samples"))).alias("b"))
-    both = save(both, "signatures")
-    following = both.groupBy(F.col("doc_id").alias("next_id"), F.col("own").alias("follower")).agg(F.max("a").alias("c"))
-    return both.join(following, ["next_id", "follower"], "left").select(
+    both = made.groupBy(*key).agg(F.max("edited_sha256").alias("edited_sha256"), F.max(F.when(is_own, F.col("samples"))).alias("a"), F.max(F.when(~is_own, F.col("samples"))).alias("b"))
+    after = F.lead("a").over(Window.partitionBy("bucket").orderBy("place"))
+    both = both.withColumn("c", F.when(F.col("doc_id").isNull(), F.col("a")).otherwise(after)).filter("ghost = 0")
+    return both.select(
         "doc_id",
         "n_chars",
         "edited_sha256",
         fingerprint(F.col("a")).alias("fingerprint"),
         fingerprint(F.col("b")).alias("edited_fingerprint"),
         likeness(F.col("a"), F.col("b")).alias("near_edited"),
-        F.when(F.col("doc_id").isNull(), 1.0).otherwise(likeness(F.col("a"), F.col("c"))).alias("near_next"),
+        likeness(F.col("a"), F.col("c")).alias("near_next"),
     )
