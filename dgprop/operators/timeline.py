@@ -3,25 +3,28 @@
 ``incremental`` repairs the state after each step and pushes on; ``recompute``
 starts anew at each step; ``per_event`` makes a step of each edge change; ``auto``
 repairs, and starts anew where the repaired state has a greater potential than a
-cold start.  Graphs up to ``LOCAL_EDGES`` half-edges and changes run in one task on
-arrays, larger ones as DataFrame rounds; both give the same rows up to rounding.
+cold start.  Features of any width are run in blocks of columns.  Graphs up to
+``LOCAL_EDGES`` half-edges and changes run in one task on arrays, larger ones as
+DataFrame rounds; both give the same rows up to rounding, and the same counts.
+``per_event`` is meant for a few hundred changes: each is a run of its own.
 """
 
 from __future__ import annotations
 
+import uuid
 from dataclasses import dataclass
 
 import numpy as np
 import pandas as pd
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from dgprop.operators.filters import FilterSpec
 from dgprop.operators.graph import affected, apply_deltas
 from dgprop.operators.kernel import LocalGraph
-from dgprop.operators.propagate import cells, init_state, push
+from dgprop.operators.propagate import BLOCK, PushResult, cells, init_state, push
 from dgprop.operators.update import repair
-from dgprop.plans.lineage import cut
+from dgprop.plans.lineage import cut, ensure_checkpoint_dir
 
 LOCAL_EDGES = 500_000
 STATS = "step int, rounds int, pushes bigint, edges_touched bigint, affected_nodes bigint, deltas bigint, max_abs_q double, potential double, emitted bigint"
@@ -35,80 +38,144 @@ class TimelineResult:
     stats: DataFrame
 
 
-def _run(deltas: pd.DataFrame, nodes: pd.DataFrame, specs: list[FilterSpec], rmax: float, strategy: str, emit: str):
+def blocks_of(specs: list[FilterSpec], dim: int) -> list[tuple[int, int]]:
+    """Ranges of feature columns that one loop carries, all filters of a column together."""
+    each = max(1, 2 * BLOCK // max(1, len(specs)))
+    return [(a, min(dim, a + each)) for a in range(0, dim, each)]
+
+
+def _joined(parts: list[dict]) -> dict:
+    """Counts of one step from those of its blocks: the most rounds, and sums."""
+    return {
+        "rounds": max(p["rounds"] for p in parts),
+        **{k: sum(p[k] for p in parts) for k in ("pushes", "edges_touched", "potential")},
+        "max_abs_q": max(p["max_abs_q"] for p in parts),
+    }
+
+
+def _run(deltas: pd.DataFrame, nodes: pd.DataFrame, specs: list[FilterSpec], rmax: float, dim: int, strategy: str, emit: str):
     """Yield (step, nodes, representations, counts) after each step with changes."""
-    g = LocalGraph(nodes["node"].to_numpy(), np.stack(nodes["x"].to_numpy()) if len(nodes) else np.zeros((0, 1)), specs)
+    x = np.stack(nodes["x"].to_numpy()) if len(nodes) else np.zeros((0, dim))
+    graphs = [LocalGraph(nodes["node"].to_numpy(), x[:, a:b], specs) for a, b in blocks_of(specs, dim)]
     deltas = deltas.sort_values(["step", "src", "dst"], kind="stable")
     last = None
     for step, rows in deltas.groupby("step", sort=True):
         src, dst, dw = (rows[c].to_numpy() for c in ("src", "dst", "dw"))
-        totals = {"rounds": 0, "pushes": 0, "edges_touched": 0}
         groups = [np.arange(len(rows))]
         if strategy == "per_event":
             low, high = np.minimum(src, dst), np.maximum(src, dst)
             _, inverse = np.unique(np.stack((low, high), 1), axis=0, return_inverse=True)
             groups = [np.flatnonzero(inverse.ravel() == k) for k in range(inverse.max() + 1)]
-        hit = 0
-        for at in groups:
-            hit += g.apply(src[at], dst[at], dw[at])
-            if strategy == "recompute" or last is None:
-                g.reset()
-            elif strategy == "auto":
-                y, q, repaired = g.y.copy(), g.q.copy(), g.potential()
-                g.reset()
-                if repaired <= g.potential():
-                    g.y, g.q = y, q
-            done = g.push(rmax)
-            for k in totals:
-                totals[k] += done[k]
-        z = g.read()
+        parts, hit = [], 0
+        for g in graphs:
+            hit, totals = 0, {"rounds": 0, "pushes": 0, "edges_touched": 0}
+            for k, at in enumerate(groups):
+                hit += g.apply(src[at], dst[at], dw[at])
+                if strategy == "recompute" or (last is None and k == 0):
+                    g.reset()
+                elif strategy == "auto":
+                    y, q, repaired = g.y.copy(), g.q.copy(), g.potential()
+                    g.reset()
+                    if repaired <= g.potential():
+                        g.y, g.q = y, q
+                done = g.push(rmax)
+                for name in totals:
+                    totals[name] += done[name]
+            parts.append(totals | {"max_abs_q": done["max_abs_q"], "potential": g.potential()})
+        z = np.concatenate([np.concatenate([g.read().reshape(len(g.nodes), len(specs), -1)[:, s] for g in graphs], axis=1) for s in range(len(specs))], axis=1)
         keep = np.ones(len(z), bool) if emit != "changed" or last is None else np.abs(z - last).max(axis=1) > 0
         last = z
-        yield int(step), g.nodes[keep], z[keep], totals | {"affected_nodes": hit, "deltas": len(rows), "max_abs_q": done["max_abs_q"], "potential": g.potential(), "emitted": int(keep.sum())}
+        yield int(step), graphs[0].nodes[keep], z[keep], _joined(parts) | {"affected_nodes": hit, "deltas": len(rows), "emitted": int(keep.sum())}
 
 
-def _local(deltas: DataFrame, features: DataFrame, specs: list[FilterSpec], rmax: float, strategy: str, emit: str) -> TimelineResult:
+def _local(deltas: DataFrame, features: DataFrame, specs: list[FilterSpec], rmax: float, dim: int, strategy: str, emit: str) -> TimelineResult:
     def rows(left: pd.DataFrame, right: pd.DataFrame) -> pd.DataFrame:
-        parts = [pd.DataFrame({"step": np.int32(step), "node": nodes, "z": list(z)}) for step, nodes, z, _ in _run(left, right, specs, rmax, strategy, emit)]
+        parts = [pd.DataFrame({"step": np.int32(step), "node": nodes, "z": list(z)}) for step, nodes, z, _ in _run(left, right, specs, rmax, dim, strategy, emit)]
         if emit == "last":
             parts = parts[-1:]
-        return pd.concat(parts) if parts else pd.DataFrame({"step": [], "node": [], "z": []})
+        return pd.concat(parts) if parts else pd.DataFrame({"step": np.zeros(0, np.int32), "node": np.zeros(0, np.int64), "z": np.zeros(0, object)})
 
     def counts(left: pd.DataFrame, right: pd.DataFrame) -> pd.DataFrame:
-        return pd.DataFrame([{"step": step} | c for step, _, _, c in _run(left, right, specs, rmax, strategy, emit)], columns=[c.split()[0] for c in STATS.split(", ")])
+        return pd.DataFrame([{"step": step} | c for step, _, _, c in _run(left, right, specs, rmax, dim, strategy, emit)], columns=[c.split()[0] for c in STATS.split(", ")])
 
     one = F.lit(0).alias("one")
     both = deltas.select(one, "step", "src", "dst", "dw").groupBy("one").cogroup(features.select(one, "node", "x").groupBy("one"))
     return TimelineResult(both.applyInPandas(rows, "step int, node bigint, z array<double>"), both.applyInPandas(counts, STATS))
 
 
+def potential(state: DataFrame, specs: list[FilterSpec], dim: int) -> float:
+    """The sum of the residuals' sizes times the degree, which bounds the work that is left."""
+    sizes = [F.abs(F.col(q)) for q in cells("q", specs, dim)]
+    return state.agg(F.coalesce(F.sum(sum(sizes[1:], sizes[0]) * F.col("D")), F.lit(0.0))).head()[0]
+
+
 def _distributed(deltas: DataFrame, features: DataFrame, specs: list[FilterSpec], rmax: float, dim: int, strategy: str, emit: str) -> TimelineResult:
     spark = deltas.sparkSession
-    deltas = cut(deltas)
-    # As many rows as there are steps.
-    steps = [r["step"] for r in deltas.select("step").distinct().orderBy("step").collect()]
-    edges = spark.createDataFrame([], "src bigint, dst bigint, w double")
-    state, before, out, stats = None, None, None, []
-    for step in steps:
-        now = deltas.filter(F.col("step") == step)
+    ensure_checkpoint_dir(spark)
+    folder = f"{spark.sparkContext.getCheckpointDir()}/timeline-{uuid.uuid4().hex}"
+    deltas = one_edge_steps(deltas) if strategy == "per_event" else deltas.select("step", F.lit(0).alias("part"), "src", "dst", "dw")
+    deltas.write.partitionBy("step", "part").parquet(f"{folder}/deltas")
+    deltas = spark.read.schema("src bigint, dst bigint, dw double, step int, part int").parquet(f"{folder}/deltas")
+    # As many rows as there are steps, or changed edges where each is a step.
+    turns = [(r["step"], r["part"]) for r in deltas.select("step", "part").distinct().orderBy("step", "part").collect()]
+    ranges = blocks_of(specs, dim)
+    xs = [cut(features.select("node", F.slice("x", a + 1, b - a).alias("x"))) for a, b in ranges]
+    edges, states, before = spark.createDataFrame([], "src bigint, dst bigint, w double"), [None] * len(ranges), None
+    stats: dict[int, list[list[dict]]] = {}
+    counts: dict[int, list[int]] = {}
+    for k, (step, part) in enumerate(turns):
+        now = deltas.filter((F.col("step") == step) & (F.col("part") == part)).select("src", "dst", "dw")
         after = cut(apply_deltas(edges, now))
-        if state is None or strategy == "recompute":
-            start = init_state(features, after, specs, dim)
-        else:
-            start = repair(state, now, edges, features, specs, dim)
-        done = push(after, start, specs, rmax, dim)
-        state, edges = done.state, after
-        z = cut(done.both_bands())
+        hit = counts.setdefault(step, [0, 0, 0])
+        hit[0] += affected(now).count()
+        hit[1] += now.count()
+        rounds = []
+        for i, (a, b) in enumerate(ranges):
+            cold = init_state(xs[i], after, specs, b - a)
+            start = cold
+            if states[i] is not None and strategy != "recompute":
+                start = repair(states[i], now, edges, xs[i], specs, b - a)
+                if strategy == "auto" and potential(start, specs, b - a) > potential(cold, specs, b - a):
+                    start = cold
+            done = push(after, start, specs, rmax, b - a)
+            states[i] = done.state
+            end = done.stats[-1]
+            rounds.append({"rounds": end["round"], "pushes": sum(r["active_cells"] for r in done.stats), "edges_touched": sum(r["edges_touched"] for r in done.stats), "max_abs_q": float(end["max_abs_q"]), "potential": float(end["phi"])})
+        stats.setdefault(step, []).append(rounds)
+        edges = after
+        if k + 1 < len(turns) and turns[k + 1][0] == step:
+            continue
+        z = _side_by_side(states, specs, ranges)
+        if emit == "changed":
+            z = cut(z)
         rows = z
         if emit == "changed" and before is not None:
             rows = z.join(before.withColumnRenamed("z", "old"), "node", "left").filter("old IS NULL OR z <> old").select("node", "z")
-        rows = rows.select(F.lit(step).cast("int").alias("step"), "node", "z")
-        out = rows if out is None or emit == "last" else out.unionByName(rows)
         before = z
-        counted = now.agg(F.count("*")).head()[0]
-        last = done.stats[-1]
-        stats.append((step, last["round"], sum(r["active_cells"] for r in done.stats), sum(r["edges_touched"] for r in done.stats), affected(now).count(), counted, float(last["max_abs_q"]), float(last["phi"]), -1))
-    return TimelineResult(out, spark.createDataFrame(stats, STATS))
+        if emit != "last" or k + 1 == len(turns):
+            rows.write.parquet(f"{folder}/rows/step={step}")
+            hit[2] = spark.read.parquet(f"{folder}/rows/step={step}").count()
+        else:
+            hit[2] = rows.count()
+    made = []
+    for step, parts in stats.items():
+        each = [[p[i] for p in parts] for i in range(len(ranges))]
+        blocks = [{"rounds": sum(p["rounds"] for p in e), "pushes": sum(p["pushes"] for p in e), "edges_touched": sum(p["edges_touched"] for p in e), "max_abs_q": e[-1]["max_abs_q"], "potential": e[-1]["potential"]} for e in each]
+        j = _joined(blocks)
+        made.append((step, j["rounds"], j["pushes"], j["edges_touched"], counts[step][0], counts[step][1], j["max_abs_q"], j["potential"], counts[step][2]))
+    schema = "node bigint, z array<double>, step int"
+    out = spark.read.schema(schema).parquet(f"{folder}/rows") if turns else spark.createDataFrame([], schema)
+    return TimelineResult(out.select("step", "node", "z"), spark.createDataFrame(made, STATS))
+
+
+def _side_by_side(states: list[DataFrame], specs: list[FilterSpec], ranges: list[tuple[int, int]]) -> DataFrame:
+    """node and z from the states of all blocks: all columns of the first filter, then of the next."""
+    out = None
+    for i, (state, (a, b)) in enumerate(zip(states, ranges, strict=True)):
+        part = PushResult(state, specs, b - a).both_bands().withColumnRenamed("z", f"z{i}")
+        out = part if out is None else out.join(part, "node")
+    pieces = [F.slice(f"z{i}", s * (b - a) + 1, b - a) for s in range(len(specs)) for i, (a, b) in enumerate(ranges)]
+    return out.select("node", F.concat(*pieces).alias("z"))
 
 
 def run_timeline(deltas: DataFrame, features: DataFrame, specs: list[FilterSpec], rmax: float, dim: int, strategy: str = "incremental", emit: str = "all", local: bool | None = None) -> TimelineResult:
@@ -117,25 +184,14 @@ def run_timeline(deltas: DataFrame, features: DataFrame, specs: list[FilterSpec]
         raise ValueError(strategy)
     if local is None:
         local = deltas.count() + features.count() * len(specs) <= LOCAL_EDGES
-    if local:
-        return _local(deltas, features, specs, rmax, strategy, emit)
-    if strategy == "per_event":
-        deltas = one_edge_steps(deltas)
-        strategy = "incremental"
-    return _distributed(deltas, features, specs, rmax, dim, strategy, emit)
+    return (_local if local else _distributed)(deltas, features, specs, rmax, dim, strategy, emit)
 
 
 def one_edge_steps(deltas: DataFrame) -> DataFrame:
-    """A step of its own for each changed edge, in the order of steps and ends."""
-    from pyspark.sql import Window
-
+    """step, part, src, dst, dw: a part of its step for each changed edge, in the order of ends."""
     low, high = F.least("src", "dst"), F.greatest("src", "dst")
-    per = deltas.select("step", low.alias("a"), high.alias("b")).distinct()
-    ahead = per.groupBy("step").count().select("step", F.coalesce(F.sum("count").over(Window.orderBy("step").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0)).alias("ahead"))
-    numbered = per.withColumn("inside", F.row_number().over(Window.partitionBy("step").orderBy("a", "b"))).join(ahead, "step")
-    steps = numbered.select(F.col("step").alias("old"), "a", "b", (F.col("ahead") + F.col("inside")).cast("int").alias("step"))
-    keyed = deltas.select(F.col("step").alias("old"), low.alias("a"), high.alias("b"), "src", "dst", "dw")
-    return keyed.join(steps, ["old", "a", "b"]).select("step", "src", "dst", "dw")
+    inside = F.dense_rank().over(Window.partitionBy("step").orderBy(low, high)) - 1
+    return deltas.select("step", inside.cast("int").alias("part"), "src", "dst", "dw")
 
 
 def save_state(state: DataFrame, path: str, version: int) -> None:

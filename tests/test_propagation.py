@@ -52,11 +52,42 @@ def test_degrees_and_transient_edge(example):
     assert {(r["src"], r["dst"]) for r in diff if r["src"] < r["dst"]} == {(1, 3), (1, 4), (1, 5), (2, 4), (3, 5)}
 
 
-def test_per_event_and_auto_agree(example):
+@pytest.mark.parametrize("strategy", ["per_event", "auto"])
+def test_per_event_and_auto_agree(example, strategy):
     deltas, x = example
-    for strategy in ("per_event", "auto"):
-        for r in run_timeline(deltas, x, [LOW], 1e-9, 1, strategy=strategy).representations.collect():
-            assert r["z"][0] == pytest.approx(EXACT[r["step"]][0][r["node"] - 1], abs=2e-6)
+    for r in run_timeline(deltas, x, [LOW], 1e-9, 1, strategy=strategy).representations.collect():
+        assert r["z"][0] == pytest.approx(EXACT[r["step"]][0][r["node"] - 1], abs=2e-6)
+    counts, found = [], []
+    for local in (True, False):
+        done = run_timeline(deltas, x, [LOW], 0.2, 1, strategy=strategy, local=local)
+        rows = {(r["step"], r["node"]): r["z"][0] for r in done.representations.collect()}
+        assert len(rows) == 25
+        found.append(rows)
+        counts.append([(r["step"], r["rounds"], r["pushes"], r["edges_touched"], r["affected_nodes"], r["deltas"], r["emitted"]) for r in done.stats.orderBy("step").collect()])
+    assert counts[0] == counts[1]
+    assert all(z == pytest.approx(found[1][k], abs=1e-9) for k, z in found[0].items())
+
+
+@pytest.mark.parametrize(("specs", "dim", "paths"), [([LOW], 172, [True]), ([LOW, HIGH], 128, [True]), ([LOW, HIGH], 18, [True, False])])
+def test_features_of_any_width(spark, example, specs, dim, paths):
+    """Blocks of columns give what columns give that are run alone, and both paths the same rows and counts."""
+    deltas, _ = example
+    rng = np.random.default_rng(0)
+    values = rng.normal(size=(5, dim))
+    x = cut(spark.createDataFrame([(i + 1, v.tolist()) for i, v in enumerate(values)], "node bigint, x array<double>"))
+    found, counts = [], []
+    for local in paths:
+        done = run_timeline(deltas.filter("step <= 1"), x, specs, 1.0, dim, local=local)
+        found.append({(r["step"], r["node"]): r["z"] for r in done.representations.collect()})
+        counts.append([(r["step"], r["rounds"], r["pushes"], r["edges_touched"], r["emitted"]) for r in done.stats.orderBy("step").collect()])
+    assert counts[0] == counts[-1] and found[0].keys() == found[-1].keys()
+    for k, z in found[0].items():
+        assert len(z) == dim * len(specs) and z == pytest.approx(found[-1][k], abs=1e-9)
+    c = dim - 1
+    alone = cut(spark.createDataFrame([(i + 1, [float(v[c])]) for i, v in enumerate(values)], "node bigint, x array<double>"))
+    for r in run_timeline(deltas.filter("step <= 1"), alone, specs, 1.0, 1, local=True).representations.collect():
+        assert r["z"] == pytest.approx([found[0][r["step"], r["node"]][s * dim + c] for s in range(len(specs))], abs=1e-9)
+    assert run_timeline(deltas.limit(0), x.limit(0), specs, 1.0, dim, local=paths[-1]).representations.count() == 0
 
 
 def random_graph(rng, n=12, dim=2):
