@@ -138,13 +138,23 @@ class LinkModel:
         rng = np.random.default_rng(seed)
         return ENCODERS[self.kind][0](rng, self.d, self.h) | dense_params(rng, [2 * self.h if self.how == "concat" else self.h, self.h, 1])
 
+    def state(self, p: dict[str, Var], x: pd.Series, mask: pd.Series) -> Var:
+        sequences = np.stack([np.stack(list(s)) for s in x])
+        return ENCODERS[self.kind][1](p, Var(sequences * self.scale), np.stack(mask.to_numpy()).astype(float))
+
     def logits(self, p: dict[str, Var], batch: pd.DataFrame) -> Var:
-        ends = []
-        for side in ("a", "b"):
-            x = np.stack([np.stack(list(s)) for s in batch[f"x{side}"]])
-            ends.append(ENCODERS[self.kind][1](p, Var(x * self.scale), np.stack(batch[f"m{side}"].to_numpy()).astype(float)))
+        ends = [self.state(p, batch[f"x{side}"], batch[f"m{side}"]) for side in ("a", "b")]
         return dense(p, combine(ends[0], ends[1], self.how), 2)[:, 0]
 
+    def encode(self, p: Params, x: pd.Series, mask: pd.Series) -> np.ndarray:
+        """The states of sequences."""
+        return self.state({k: Var(v) for k, v in p.items()}, x, mask).value
+
+    def head(self, p: Params, a: np.ndarray, b: np.ndarray) -> np.ndarray:
+        """The scores of pairs of states."""
+        known = {k: Var(v) for k, v in p.items()}
+        return dense(known, combine(Var(a), Var(b), self.how), 2)[:, 0].sigmoid().value
+
     def loss(self, p: dict[str, Var], batch: pd.DataFrame) -> Var:
         return binary_loss(self.logits(p, batch), batch["label"].to_numpy())
 

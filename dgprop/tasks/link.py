@@ -11,8 +11,9 @@ from pyspark.sql import functions as F
 
 from dgprop.models.networks import LinkModel, fit_partitions, fit_rows
 from dgprop.operators.sequences import deltas, sequences
+from dgprop.plans.lineage import cut
+from dgprop.tasks.fitting import MOST_ROWS, fitted
 
-ROWS_IN_ONE_TASK = 200_000
 SCORED = "query_id bigint, step int, src bigint, dst bigint, label int, part string, score double"
 
 
@@ -32,30 +33,55 @@ def link_rows(representations: DataFrame, pairs: DataFrame, length: int, dim: in
     return pairs.join(side("src", "a"), ["step", "src"]).join(side("dst", "b"), ["step", "dst"])
 
 
-def run(rows: DataFrame, model: LinkModel, epochs: int = 5, rate: float = 0.01, seed: int = 0, spread: bool = False) -> DataFrame:
-    """Fit on part = train, score valid and test; in one task unless ``spread``."""
-    columns = ["query_id", "step", "src", "dst", "label", "part", "xa", "ma", "xb", "mb"]
-    rows = rows.select(*columns)
+def _sized(model: LinkModel, train: pd.DataFrame) -> LinkModel:
+    """The model with changes scaled to size 1 in the training rows."""
+    size = float(np.sqrt(np.mean([np.mean(np.square(np.stack(list(s)))) for c in ("xa", "xb") for s in train[c]])))
+    return replace(model, scale=1 / size if size else 1.0)
+
+
+def fit(rows: DataFrame, model: LinkModel, epochs: int, rate: float, seed: int, spread: bool, most_rows: int) -> tuple[LinkModel, dict] | None:
+    """The scaled model and its parameters from rows with sequences; None without rows."""
+    rows = rows.select("query_id", "dst", "label", "xa", "ma", "xb", "mb")
     if spread:
-        size = rows.filter("part = 'train'").select(F.explode(F.flatten(F.concat("xa", "xb"))).alias("v")).agg(F.sqrt(F.avg(F.col("v") * F.col("v")))).head()[0]
-        model = replace(model, scale=1 / size if size else 1.0)
-        params = fit_partitions(model, rows.filter("part = 'train'"), epochs, rate, seed)
-
-        def score(parts):
-            for part in parts:
-                if len(part):
-                    yield part[columns[:6]].assign(score=model.scores(params, part))
-
-        return rows.filter("part <> 'train'").mapInPandas(score, SCORED)
-
-    def both(pdf: pd.DataFrame) -> pd.DataFrame:
-        pdf = pdf.sort_values(["part", "query_id", "dst", "label"], ignore_index=True)
-        train, rest = pdf[pdf["part"] == "train"], pdf[pdf["part"] != "train"]
-        if not len(train) or not len(rest):
-            return rest[columns[:6]].assign(score=0.5)
-        size = float(np.sqrt(np.mean([np.mean(np.square(np.stack(list(s)))) for c in ("xa", "xb") for s in train[c]])))
+        size = rows.select(F.explode(F.flatten(F.concat("xa", "xb"))).alias("v")).agg(F.sqrt(F.avg(F.col("v") * F.col("v")))).head()[0]
+        if size is None:
+            return None
         scaled = replace(model, scale=1 / size if size else 1.0)
-        params = fit_rows(scaled, train, epochs, 256, rate, seed)
-        return rest[columns[:6]].assign(score=np.concatenate([scaled.scores(params, rest.iloc[k : k + 4096]) for k in range(0, len(rest), 4096)]))
+        return scaled, fit_partitions(scaled, rows, epochs, rate, seed)
+
+    def one(train: pd.DataFrame) -> tuple[LinkModel, dict]:
+        scaled = _sized(model, train)
+        return scaled, fit_rows(scaled, train, epochs, 256, rate, seed)
+
+    return fitted(rows, ["query_id", "dst", "label"], one, most_rows)
+
+
+def run(representations: DataFrame, pairs: DataFrame, length: int, model: LinkModel, epochs: int = 5, rate: float = 0.01, seed: int = 0, kind: str = "diff", spread: bool = False, most_rows: int = MOST_ROWS) -> DataFrame:
+    """Fit on the pairs of part = train, score those of valid and test.
+
+    The sequence of a node is encoded once for each step, and pairs are scored from
+    the two states, so the number of candidates for a pair costs little.  Without
+    training rows all scores are even.
+    """
+    known = link_rows(representations, pairs.filter("part = 'train'"), length, model.d, kind)
+    got = fit(known, model, epochs, rate, seed, spread, most_rows)
+    rest = pairs.filter("part <> 'train'").select("query_id", "step", "src", "dst", "label", "part")
+    s = padded(deltas(representations, kind), length, model.d)
+    if got is None:
+        ends = s.select((F.col("step") + 1).alias("step"), "node")
+        return rest.join(ends.withColumnRenamed("node", "src"), ["step", "src"]).join(ends.withColumnRenamed("node", "dst"), ["step", "dst"]).select("query_id", "step", "src", "dst", "label", "part", F.lit(0.5).alias("score"))
+    scaled, params = got
+
+    def encode(parts):
+        for part in parts:
+            if len(part):
+                yield part[["step", "node"]].assign(step=part["step"] + 1, h=list(scaled.encode(params, part["x"], part["m"])))
+
+    def score(parts):
+        for part in parts:
+            if len(part):
+                yield part[["query_id", "step", "src", "dst", "label", "part"]].assign(score=scaled.head(params, np.stack(part["ha"].to_numpy()), np.stack(part["hb"].to_numpy())))
 
-    return rows.groupBy(F.lit(0).alias("one")).applyInPandas(both, SCORED)
+    h = cut(s.mapInPandas(encode, "step int, node bigint, h array<double>"))
+    one, two = (h.select("step", F.col("node").alias(end), F.col("h").alias(name)) for end, name in (("src", "ha"), ("dst", "hb")))
+    return rest.join(one, ["step", "src"]).join(two, ["step", "dst"]).mapInPandas(score, SCORED)

@@ -37,20 +37,24 @@ def in_setting(pairs: DataFrame, setting: str) -> DataFrame:
     return unseen
 
 
-def negatives(pairs: DataFrame, pool: DataFrame, k: int, seed: int, known: DataFrame | None = None, tries: int = 3) -> DataFrame:
-    """For each pair ``k`` others with the same source and a target of the pool, drawn by hash.
+def negatives(pairs: DataFrame, pool: DataFrame, k: int, seed: int, known: DataFrame | None = None) -> DataFrame:
+    """For each pair ``k`` others with the same source and a target of the pool that the source is not known to be linked with.
 
-    ``pool`` has idx (0 to N - 1) and node.  Draw j takes the first of ``tries``
-    hashes that is no known pair; a draw with none is left out.
+    ``pool`` has idx (0 to N - 1) and node.  A hash draws a number below the count of
+    the source's free targets, and that many known ones before it move it on, so
+    every draw is one of them.  A source with at most ``k`` free targets gets each of
+    them once (``n_free`` says how many there are), one without any gets none.
     """
     n = pool.agg(F.count("*").alias("n_pool"))
-    drawn = pairs.crossJoin(F.broadcast(n)).select("query_id", "step", "src", F.explode(F.sequence(F.lit(1), F.lit(k))).alias("j"), "n_pool")
-    tried = drawn.select("query_id", "step", "src", "j", F.explode(F.sequence(F.lit(0), F.lit(tries - 1))).alias("t"), "n_pool")
-    tried = tried.withColumn("idx", F.pmod(hash32(seed, F.col("query_id"), F.col("j"), F.col("t")), F.col("n_pool")))
-    found = tried.join(pool.select("idx", F.col("node").alias("dst")), "idx")
-    found = found.join((pairs if known is None else known).select("src", "dst").distinct(), ["src", "dst"], "left_anti")
-    first = found.groupBy("query_id", "step", "src", "j").agg(F.min(F.struct("t", "dst")).alias("f"))
-    return first.select("query_id", "step", "src", F.col("f.dst").alias("dst"), F.lit(0).alias("label"), "j")
+    linked = (pairs if known is None else known).select("src", "dst").distinct().join(pool.select("idx", F.col("node").alias("dst")), "dst")
+    # Of the i-th known place, the free places before it.
+    taken = linked.groupBy("src").agg(F.transform(F.array_sort(F.collect_list("idx")), lambda x, i: x - i).alias("taken"))
+    drawn = pairs.select("query_id", "step", "src").join(taken, "src", "left").crossJoin(F.broadcast(n))
+    drawn = drawn.withColumn("taken", F.coalesce("taken", F.array().cast("array<bigint>"))).withColumn("n_free", F.col("n_pool") - F.size("taken")).filter("n_free > 0")
+    drawn = drawn.select("*", F.explode(F.sequence(F.lit(1), F.least(F.lit(k).cast("bigint"), F.col("n_free")).cast("int"))).alias("j"))
+    place = F.when(F.col("n_free") <= k, F.col("j") - 1).otherwise(F.pmod(hash32(seed, F.col("query_id"), F.col("j")), F.col("n_free")))
+    placed = drawn.withColumn("place", place.cast("bigint")).withColumn("idx", F.col("place") + F.size(F.filter("taken", lambda t: t <= F.col("place"))))
+    return placed.join(pool.select("idx", F.col("node").alias("dst")), "idx").select("query_id", "step", "src", "dst", F.lit(0).alias("label"), "j", "n_free")
 
 
 def indexed(nodes: DataFrame) -> DataFrame:

@@ -119,17 +119,17 @@ def with_negatives(pairs: DataFrame, k: int, seed: int = 3) -> DataFrame:
 
 
 def _pairs(events: DataFrame) -> DataFrame:
-    return events.select(F.col("seq").alias("query_id"), "step", "src", "dst")
+    """Each pair once in a step."""
+    return events.select("step", "src", "dst").distinct().select(F.xxhash64("step", "src", "dst").alias("query_id"), "step", "src", "dst")
 
 
-def continuous_links(events: DataFrame, kind: str = "lstm", bands: str = "low", change: str = "diff", how: str = "concat", epochs: int = 3, x: DataFrame | None = None, dim: int = DIM) -> DataFrame:
+def continuous_links(events: DataFrame, kind: str = "lstm", bands: str = "low", change: str = "diff", how: str = "concat", epochs: int = 3, x: DataFrame | None = None, dim: int = DIM, seed: int = 0) -> DataFrame:
     """Average precision of next-step links of the test part, in both settings; events have seq, step, src, dst, kind, w."""
     deltas = cut(G.net_deltas(events))
     z = cut(run_timeline(deltas, random_x(deltas, dim) if x is None else x, _PASS[bands], 1e-4, dim).representations)
     pairs = cut(splits.time_split(_pairs(events)))
     d = 1 if change != "diff" else dim * len(_PASS[bands])
-    rows = link.link_rows(z, with_negatives(pairs, 1), LENGTH, d, change)
-    scored = cut(link.run(rows, LinkModel(kind, d, 8, how), epochs))
+    scored = cut(link.run(z, cut(with_negatives(pairs, 1)), LENGTH, LinkModel(kind, d, 8, how), epochs, kind=change, seed=seed))
     out = []
     for setting in ("transductive", "inductive"):
         ids = splits.in_setting(pairs, setting).select("query_id")
@@ -170,35 +170,69 @@ def lp_planted(spark: SparkSession, sf_dir: str) -> DataFrame:
     return reduce(DataFrame.unionByName, out)
 
 
-def ranked_links(deltas: DataFrame, pairs: DataFrame, kind: str, negatives: int, epochs: int = 2) -> DataFrame:
-    """Mean reciprocal rank by snapshot, in both bands."""
+#: Negatives of each pair that is ranked; a source with fewer free targets gets all of them.
+RANKED = 1000
+SEEDS = (0, 1, 2)
+
+
+def ranked_links(deltas: DataFrame, pairs: DataFrame, kinds: tuple[str, ...], epochs: int = 1, seeds: tuple[int, ...] = SEEDS) -> DataFrame:
+    """By sequence model: mean reciprocal rank, a mean over the test steps, its mean and deviation over seeds; both bands."""
     deltas = cut(deltas)
     z = cut(run_timeline(deltas, random_x(deltas, 4), [LOW, HIGH], 1e-3, 4).representations)
     pairs = cut(splits.time_split(pairs))
     train = with_negatives(pairs.filter("part <> 'test'"), 1)
-    test = with_negatives(pairs.filter("part = 'test'"), negatives, 5)
-    rows = link.link_rows(z, train.unionByName(test), 3, 8)
-    scored = link.run(rows, LinkModel(kind, 8, 8), epochs).filter("part = 'test'")
-    return M.mrr(scored.withColumn("score", F.round("score", 9))).select(F.lit(kind).alias("model"), r("mrr").alias("mrr"))
+    both = cut(train.unionByName(with_negatives(pairs.filter("part = 'test'"), RANKED, 5)))
+    candidates = both.filter("part = 'test'").agg(F.avg(1 - F.col("label")).alias("share")).select(r(F.col("share") / (1 - F.col("share"))).alias("mean_negatives"))
+    out = []
+    for kind in kinds:
+        runs = []
+        for seed in seeds:
+            scored = link.run(z, both, 3, LinkModel(kind, 8, 8), epochs, seed=seed).filter("part = 'test'")
+            runs.append(M.mrr(scored.withColumn("score", F.round("score", 9))).select(F.lit(kind).alias("model"), F.lit(seed).alias("seed"), "mrr"))
+        out.append(cut(reduce(DataFrame.unionByName, runs)).groupBy("model").agg(r(F.avg("mrr")).alias("mrr"), r(F.coalesce(F.stddev_samp("mrr"), F.lit(0.0))).alias("deviation"), F.count("*").alias("seeds")).join(candidates))
+    return reduce(DataFrame.unionByName, out)
 
 
 @query()
 def lp_monthly_suppliers(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Suppliers that meet in an order, by quarter; the three sequence models."""
-    co = T.co_suppliers(spark, sf_dir).withColumn("step", F.floor(F.col("step") / 3).cast("int")).groupBy("step", "src", "dst").agg(F.sum("w").alias("w"))
-    co = cut(co)
-    deltas = G.mirrored(co.withColumnRenamed("w", "dw"), "dw")
-    pairs = co.filter("w > 3").select((F.col("step") * 10**10 + (F.col("src") - T.SUPPLIER) * 10**5 + F.col("dst") - T.SUPPLIER).alias("query_id"), "step", "src", "dst")
-    return reduce(DataFrame.unionByName, [ranked_links(deltas, pairs, k, 20, 1) for k in ENCODERS])
+    """Suppliers that meet in an order, by month; the three sequence models."""
+    co = cut(T.co_suppliers(spark, sf_dir))
+    deltas = G.mirrored(co.withColumnRenamed("w", "dw"), "dw").select("step", "src", "dst", "dw")
+    return ranked_links(deltas, _pairs(co), tuple(ENCODERS))
 
 
 @query()
 def lp_returns(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Customers and suppliers with deletions, by half-year."""
-    rows = T.trades_with_returns(spark, sf_dir).withColumn("step", F.floor(G.month() / 6).cast("int"))
+    """Customers and suppliers with deletions, by month; the three sequence models."""
+    rows = T.trades_with_returns(spark, sf_dir).withColumn("step", G.month())
     deltas = G.clamp_deltas(G.net_deltas(rows))[0]
-    pairs = rows.filter("kind = 'add_edge'").select(F.col("seq").alias("query_id"), "step", "src", "dst")
-    return ranked_links(deltas, pairs, "gru", 10, 1)
+    return ranked_links(deltas, _pairs(rows.filter("kind = 'add_edge'")), tuple(ENCODERS))
+
+
+@query()
+def lp_biweekly(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Customers and suppliers in steps of two weeks; the three sequence models."""
+    rows = T.trades(spark, sf_dir, "supplier").withColumn("step", G.bucket(14 * T.DAY_US))
+    return ranked_links(G.net_deltas(rows), _pairs(rows), tuple(ENCODERS))
+
+
+@query()
+def lp_trades(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Customers and parts by month: average precision in both settings."""
+    return continuous_links(T.trades(spark, sf_dir).withColumn("step", G.month()).select("seq", "step", "kind", "src", "dst", "w"))
+
+
+@query()
+def nc_returns(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Whether a trade's goods come back, from the customer's and the part's representations of the month before."""
+    trades = T.trades(spark, sf_dir).withColumn("step", G.month())
+    deltas = cut(G.net_deltas(trades.select("seq", "step", "kind", "src", "dst", "w")))
+    z = cut(run_timeline(deltas, random_x(deltas, DIM), [LOW], 1e-4, DIM).representations)
+    known = trades.select(F.col("seq").alias("id"), "src", "dst", (F.col("step") - 1).alias("step"), (F.col("l_returnflag") == "R").cast("int").alias("label"))
+    side = lambda end, name: z.select("step", F.col("node").alias(end), F.col("z").alias(name))
+    rows = known.join(side("src", "zs"), ["step", "src"]).join(side("dst", "zd"), ["step", "dst"]).select("id", F.concat("zs", "zd").alias("x"), "label", "step")
+    split = splits.time_split(rows.select(F.col("id").alias("query_id"), "step", "x", "label")).withColumnRenamed("query_id", "id")
+    return auc_metrics(node.run(split, ClassModel([2 * DIM, 32, 32, 2]), 3))
 
 
 def class_metrics(scored: DataFrame) -> DataFrame:
@@ -295,18 +329,21 @@ def nc_quality_logistic(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 @query()
 def nc_parts(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """The brand of parts, 25 classes, from customers' trades and vectors; chance is about 0.04."""
-    e = cut(G.weighted(G.mirrored(T.trades(spark, sf_dir).select("src", "dst", "w"))))
-    v = T.table(spark, sf_dir, "embeddings").select("vec_id", F.slice(F.col("embedding").cast("array<double>"), 1, 8).alias("x"))
-    n = v.count()
+    """The brand of parts, 25 classes, from the latest of yearly steps of customers' trades over the whole vectors; chance is about 0.04."""
+    trades = T.trades(spark, sf_dir).withColumn("step", F.year(F.timestamp_micros("ts_us"))).select("seq", "step", "kind", "src", "dst", "w")
+    deltas = cut(G.net_deltas(trades))
+    v = T.table(spark, sf_dir, "embeddings").select("vec_id", F.col("embedding").cast("array<double>").alias("x"))
+    n, width = v.agg(F.count("*"), F.coalesce(F.max(F.size("x")), F.lit(1))).head()
     parts = T.table(spark, sf_dir, "part").select("p_partkey", (F.col("p_partkey") % n).alias("vec_id"), "p_brand")
     px = parts.join(v, "vec_id").select((F.col("p_partkey") + T.PART).alias("node"), "x")
-    x = cut(px.unionByName(G.nodes_of(e).filter(F.col("node") < T.PART).select("node", F.array_repeat(F.lit(0.0), 8).alias("x"))))
-    z = pr.push(e, pr.init_state(x, e, [LOW], 8), [LOW], 1e-3, 8).readout()
+    others = G.nodes_of(trades).join(px.select("node"), "node", "left_anti")
+    x = cut(px.unionByName(others.select("node", F.array_repeat(F.lit(0.0), width).alias("x"))))
+    z = run_timeline(deltas, x, [LOW], 1e-3, width).representations.filter(F.col("node") >= T.PART)
+    latest = z.groupBy("node").agg(F.max_by("z", "step").alias("z"))
     brand = F.coalesce(F.expr("try_cast(regexp_extract(p_brand, '([0-9]+)$', 1) AS int)") - 1, F.lit(0))
     label = parts.select((F.col("p_partkey") + T.PART).alias("node"), F.col("p_partkey").alias("id"), F.pmod(brand, F.lit(25)).alias("label"))
-    rows = node.hash_split(z.join(label, "node").select("id", F.col("z").alias("x"), "label"))
-    return class_metrics(node.run(rows, ClassModel([8, 32, 32, 25]), 10))
+    rows = node.hash_split(latest.join(label, "node").select("id", F.col("z").alias("x"), "label"))
+    return class_metrics(node.run(rows, ClassModel([width, 32, 32, 25]), 10))
 
 
 # Sweeps and ablations

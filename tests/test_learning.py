@@ -69,6 +69,28 @@ def test_splits_do_not_leak(spark):
     assert not known & set(zip(no.src, no.dst, strict=True))
 
 
+def test_negatives_are_all_there_and_even(spark):
+    """However many targets a source knows, it gets as many draws as asked for, of the free ones alike."""
+    known = spark.createDataFrame([(1, d) for d in range(90)] + [(2, d) for d in range(100)] + [(3, 7)], "src bigint, dst bigint")
+    pool = splits.indexed(spark.range(100).selectExpr("id AS node"))
+    pairs = spark.createDataFrame([(i, 5, 1 + i % 3, 0) for i in range(300)], "query_id bigint, step int, src bigint, dst bigint")
+    no = splits.negatives(pairs, pool, 4, 1, known).toPandas()
+    assert (no.groupby("query_id").size() == 4).all() and set(no.src) == {1, 3}
+    assert set(no[no.src == 1].dst) == set(range(90, 100)) and 7 not in set(no[no.src == 3].dst)
+    assert set(no[no.src == 1].n_free) == {10} and no[no.src == 1].groupby("dst").size().min() > 15
+    every = splits.negatives(pairs.limit(2), pool, 1000, 1, known).toPandas()
+    assert all(set(g.dst) == set(range(90, 100)) and len(g) == 10 for _, g in every[every.src == 1].groupby("query_id"))
+
+
+def test_fit_on_a_bounded_sample(spark):
+    from dgprop.tasks.fitting import fitted
+
+    rows = spark.createDataFrame([(i, float(i)) for i in range(100)], "id bigint, v double")
+    assert fitted(rows, ["id"], lambda p: (len(p), p.id.is_monotonic_increasing), 10) == (10, True)
+    assert fitted(rows, ["id"], lambda p: p.v.sum()) == 4950
+    assert fitted(rows.limit(0), ["id"], len) is None
+
+
 def test_filters():
     for spec in (FilterSpec.restart(0.2), FilterSpec.alternating(0.2), FilterSpec.power(0.5), FilterSpec.neg_power(0.5)):
         assert sum(abs(g) for g in spec.gammas(200)) == pytest.approx(spec.mass)
