@@ -409,9 +409,9 @@ def op_udaf_vec_sum(spark: SparkSession, sf_dir: str) -> DataFrame:
     return e.groupBy("label").agg(vec_sum_agg("e").alias("s")).select("label", *[r(F.col("s")[i], 4).alias(f"s{i}") for i in range(3)])
 
 
-@query(f"SELECT src, dst, dw FROM (SELECT src, dst, w AS dw FROM ({q.EVENTS}) WHERE seq % 10 = 0 UNION ALL SELECT dst, src, w FROM ({q.EVENTS}) WHERE seq % 10 = 0)")
+@query(f"SELECT src, dst, dw FROM (SELECT src, dst, w AS dw FROM ({q.EVENTS}) UNION ALL SELECT dst, src, w FROM ({q.EVENTS}))")
 def op_udtf_half_edges(spark: SparkSession, sf_dir: str) -> DataFrame:
-    e = T.interactions(spark, sf_dir).filter("seq % 10 = 0")
+    e = T.interactions(spark, sf_dir)
     return e.lateralJoin(half_edges(F.col("kind").outer(), F.col("src").outer(), F.col("dst").outer(), F.col("w").outer()).toDF("a", "b", "dw")).select(F.col("a").alias("src"), F.col("b").alias("dst"), "dw")
 
 

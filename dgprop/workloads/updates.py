@@ -169,6 +169,27 @@ def tl_ctdg_vs_dtdg(spark: SparkSession, sf_dir: str) -> DataFrame:
     return long_form(done.representations, "node", places=5)
 
 
+@query(q.series_by_step(q.stepped(), 2, 0.5, 0.5, 0.5, ROUNDS))
+def bl_recompute(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Every step from a cold start."""
+    deltas = daily(spark, sf_dir)
+    return _steps_z(TL.run_timeline(deltas, random_x(deltas, 2), [RESTART], TIGHT, 2, strategy="recompute"))
+
+
+@query(q.series_by_step(q.stepped(), 2, 0.5, 0.5, 0.5, ROUNDS))
+def tl_auto_events(spark: SparkSession, sf_dir: str) -> DataFrame:
+    deltas = daily(spark, sf_dir)
+    return _steps_z(TL.run_timeline(deltas, random_x(deltas, 2), [RESTART], TIGHT, 2, strategy="auto"))
+
+
+@query(q.series(q.EVENT_EDGES, 172, "", 0.5, 0.5, ROUNDS, _ALL_NODES, None, f"SELECT node, dim, {sql_r(f'sum(v * ({q.geometric(0.5, 0.5)}))', 5)} AS z FROM t GROUP BY node, dim"))
+def tl_wide_features(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The width of the published features, 172 columns, over daily steps; the last step's rows."""
+    deltas = daily(spark, sf_dir)
+    done = TL.run_timeline(deltas, random_x(deltas, 172), [RESTART], TIGHT, 172, emit="last")
+    return long_form(done.representations, "node", places=5)
+
+
 @query("SELECT 1 AS within, 1 AS touches_less")
 def tl_recompute_equals_incremental(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Both are within the bound of each other; small daily changes cost less to repair than to start anew."""
@@ -276,28 +297,29 @@ def tk_holdout_nodes(spark: SparkSession, sf_dir: str) -> DataFrame:
     return splits.holdout_nodes(G.nodes_of(T.interactions(spark, sf_dir)), 10, 5)
 
 
-def _negatives_sql(k: int, where: str) -> str:
-    draw = sql_hash32("concat('3:', query_id, ':', j, ':', t)")
-    return f"""WITH p AS (SELECT * FROM ({_PAIRS}) WHERE {where}), pool AS (SELECT row_number() OVER (ORDER BY node) - 1 AS idx, node FROM (SELECT DISTINCT dst AS node FROM ({q.EVENTS}))),
-        d AS (SELECT p.query_id, p.step, p.src, j, t, {draw} % (SELECT count(*) FROM pool) AS idx FROM p, range(1, {k + 1}) AS a(j), range(3) AS b(t)),
-        f AS (SELECT d.*, node AS dst FROM d JOIN pool USING (idx) WHERE NOT EXISTS (SELECT 1 FROM ({q.EVENTS}) AS e WHERE e.src = d.src AND e.dst = node))
-        SELECT query_id, step, src, arg_min(dst, t) AS dst, 0 AS label, CAST(j AS INTEGER) AS j FROM f GROUP BY query_id, step, src, j"""
+def _negatives_sql(k: int, pairs: str) -> str:
+    draw = sql_hash32("concat('3:', query_id, ':', j)")
+    return f"""WITH p AS ({pairs}), e AS ({q.EVENTS}), pool AS (SELECT row_number() OVER (ORDER BY node) - 1 AS idx, node FROM (SELECT DISTINCT dst AS node FROM e)),
+        free AS (SELECT s.src, pool.node, row_number() OVER (PARTITION BY s.src ORDER BY idx) - 1 AS place, count(*) OVER (PARTITION BY s.src) AS n_free FROM (SELECT DISTINCT src FROM e) AS s, pool WHERE NOT EXISTS (SELECT 1 FROM e WHERE e.src = s.src AND e.dst = pool.node)),
+        d AS (SELECT p.query_id, p.step, p.src, n_free, j, CASE WHEN n_free <= {k} THEN j - 1 ELSE {draw} % n_free END AS place FROM p JOIN (SELECT DISTINCT src, n_free FROM free) USING (src), range(1, {k + 1}) AS a(j) WHERE j <= n_free)
+        SELECT query_id, step, d.src, node AS dst, 0 AS label, CAST(j AS INTEGER) AS j, d.n_free FROM d JOIN free ON free.src = d.src AND free.place = d.place"""
 
 
-def _negatives(spark: SparkSession, sf_dir: str, k: int, where: str) -> DataFrame:
+def _negatives(spark: SparkSession, sf_dir: str, k: int, pairs: DataFrame) -> DataFrame:
     e = T.interactions(spark, sf_dir)
     pool = splits.indexed(e.select(F.col("dst").alias("node")).distinct())
-    return splits.negatives(event_pairs(spark, sf_dir).filter(where), pool, k, 3, e)
+    return splits.negatives(pairs, pool, k, 3, e)
 
 
-@query(_negatives_sql(1, "query_id % 7 = 0"))
+@query(_negatives_sql(1, _PAIRS))
 def tk_negatives_1(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return _negatives(spark, sf_dir, 1, "query_id % 7 = 0")
+    return _negatives(spark, sf_dir, 1, event_pairs(spark, sf_dir))
 
 
-@query(_negatives_sql(50, "query_id % 97 = 0"))
+@query(_negatives_sql(1000, f"SELECT * FROM ({_split_sql(_PAIRS)}) WHERE part = 'test'"))
 def tk_negatives_ranked(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return _negatives(spark, sf_dir, 50, "query_id % 97 = 0")
+    """1000 for each pair of the test part, or all that there are."""
+    return _negatives(spark, sf_dir, 1000, splits.time_split(event_pairs(spark, sf_dir)).filter("part = 'test'"))
 
 
 @query(f"WITH z AS ({_DAILY_Z}), p AS (SELECT query_id, src AS node, step - 1 AS step FROM ({_PAIRS})) SELECT query_id, p.node, p.step, z.step AS as_of, {sql_r('z.z[1]', 5)} AS z0 FROM p ASOF JOIN z ON p.node = z.node AND p.step >= z.step")
