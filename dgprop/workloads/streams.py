@@ -90,3 +90,22 @@ def st_foreachbatch_state(spark: SparkSession, sf_dir: str) -> DataFrame:
     for batch_id, rest in ((0, 0), (1, 2), (1, 2), (2, 1)):
         update(events.filter(F.col("seq") % 3 == rest), batch_id)
     return long_form(PushResult(update.state(), [_SPEC], 1).readout(), "node", places=5)
+
+
+_ROWS = f"SELECT *, CAST(ts_us // {q.DAY} AS INTEGER) AS step FROM ({q.EVENTS})"
+_IN_TIME = f"""SELECT src, dst, w FROM (WITH e AS ({_ROWS}), a AS (SELECT max(step) AS m FROM e WHERE seq % 3 = 0),
+    b AS (SELECT greatest(max(a.m), coalesce(max(CASE WHEN seq % 3 = 2 AND step >= a.m THEN step END), 0)) AS m FROM e, a)
+    SELECT e.* FROM e, a, b WHERE seq % 3 = 0 OR (seq % 3 = 2 AND step >= a.m) OR (seq % 3 = 1 AND step >= b.m))"""
+_EVERY_NODE = f"SELECT src AS node FROM ({q.EVENTS}) UNION SELECT dst FROM ({q.EVENTS})"
+
+
+@query(q.series(q.edges_of(_IN_TIME), 1, "", 0.5, 0.5, 48, _EVERY_NODE, None, f"SELECT node, dim, {sql_r(f'sum(v * ({q.geometric(0.5, 0.5)}))', 5)} AS z FROM t GROUP BY node, dim"))
+def st_late_drop(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The same batches, where events of steps before the last one that was seen are left out."""
+    ensure_checkpoint_dir(spark)
+    events = T.interactions(spark, sf_dir).withColumn("step", G.bucket())
+    path = f"{spark.sparkContext.getCheckpointDir()}/updater-{uuid.uuid4().hex}"
+    update = StreamUpdater(path, random_x(events, 1), [_SPEC], _RMAX, 1, late="drop")
+    for batch_id, rest in ((0, 0), (1, 2), (2, 1)):
+        update(events.filter(F.col("seq") % 3 == rest), batch_id)
+    return long_form(PushResult(update.state(), [_SPEC], 1).readout(), "node", places=5)
