@@ -60,12 +60,12 @@ BINS = {
     "size": (8, 11, 14, 17, 20, 30),
     "digits": (0, 5, 9, 12, 13, 15, 16, 19),
     "groups": (1, 2, 3, 4, 5),
-    "parts": (0, 1, 2),
     "passes": (0,),
     "left": (0, 1, 2),
     "right": (0, 1, 2),
     "cue": (0,),
     "near_digits": (0, 3, 8),
+    "parts": (0, 1, 2),
 }
 FEATURES = tuple(BINS)
 LEAST_PRECISION = 0.9
@@ -232,7 +232,7 @@ def _grow(rows: list[tuple[tuple[int, ...], float, float]], depth: int, least: f
     if depth == 0:
         return leaf
     best, where = 1e-9, None
-    for f, name in enumerate(FEATURES):
+    for f, name in enumerate(FEATURES[: len(rows[0][0])]):
         sums = [[0.0, 0.0] for _ in range(len(BINS[name]) + 1)]
         for x, gx, hx in rows:
             sums[x[f]][0] += gx
