@@ -99,7 +99,7 @@ def likeness(a: Column, b: Column, n_samples: int = SAMPLES) -> Column:
     return F.when(a.isNull() & b.isNull(), 1.0).when(a.isNull() | b.isNull(), 0.0).otherwise(same / n_samples)
 
 
-def with_next(docs: DataFrame, ghosts: bool = False) -> DataFrame:
+def with_next(docs: DataFrame, ghosts_too: bool = False) -> DataFrame:
     """Add next_text, next_id, bucket, place and ghost (1 for rows that stand for the next bucket's first, left out by default): the next document in descending doc_id, after the last the first.
 
     Rows without doc_id are followed by themselves (in buckets below 0).  Bucket and
@@ -144,11 +144,12 @@ def with_next(docs: DataFrame, ghosts: bool = False) -> DataFrame:
     few = F.broadcast(heads) if n_heads <= MOST_BROADCAST else heads
     tops = placed.withColumnRenamed("bucket", "own").join(few, ["doc_id", "own"]).groupBy("bucket", "doc_id").agg(F.max("text").alias("text"))
     ghosts = tops.select("doc_id", "text", "bucket", F.lit(1).alias("ghost"))
-    ring = placed.select("doc_id", "text", "bucket", F.lit(0).alias("ghost")).unionByName(ghosts)
+    # Rows without doc_id go through the same window, so that all rows lie by bucket after it.
+    ring = placed.select("doc_id", "text", "bucket", F.lit(0).alias("ghost")).unionByName(ghosts).unionByName(own.select("doc_id", "text", "bucket", "ghost"))
     down = Window.partitionBy("bucket").orderBy("ghost", F.desc("doc_id"), F.desc("text"))
-    followed = ring.withColumns({"next_id": F.lead("doc_id").over(down), "next_text": F.lead("text").over(down)})
-    followed = followed.withColumn("place", F.row_number().over(down).cast("bigint"))
-    return (followed if ghosts else followed.filter(F.col("ghost") == 0)).select("doc_id", "text", "next_id", "next_text", "bucket", "place", "ghost").unionByName(own)
+    following = F.when(F.col("doc_id").isNull(), F.col("text")).otherwise(F.lead("text").over(down))
+    followed = ring.withColumns({"next_id": F.when(F.col("doc_id").isNotNull(), F.lead("doc_id").over(down)), "next_text": following, "place": F.row_number().over(down).cast("bigint")})
+    return (followed if ghosts_too else followed.filter(F.col("ghost") == 0)).select("doc_id", "text", "next_id", "next_text", "bucket", "place", "ghost")
 
 
 def op4_document_fingerprints(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -157,7 +158,7 @@ def op4_document_fingerprints(spark: SparkSession, sf_dir: str) -> DataFrame:
     edited = F.concat(kept, F.substring(F.col("next_text"), F.lit(1), half))
     # The rows lie by bucket; with it among the keys nothing more is shuffled, and the next document's samples stand in the next place.
     key = ["bucket", "place", "doc_id", "ghost", "n_chars"]
-    rows = with_next(text_rows(documents(spark, sf_dir)), ghosts=True).select("bucket", "place", "doc_id", "ghost", F.length("text").cast("bigint").alias("n_chars"), "text", edited.alias("edited"))
+    rows = with_next(text_rows(documents(spark, sf_dir)), ghosts_too=True).select("bucket", "place", "doc_id", "ghost", F.length("text").cast("bigint").alias("n_chars"), "text", edited.alias("edited"))
     sides = F.array(F.struct(F.col("text"), F.lit("").alias("edited_sha256")), F.struct(F.col("edited").alias("text"), F.sha2("edited", 256).alias("edited_sha256")))
     rows = rows.select(*key, F.explode(F.when(F.col("ghost") == 0, sides).otherwise(F.slice(sides, 1, 1))).alias("s")).select(*key, "s.*")
     made = signatures(rows, [*key, "edited_sha256"])
