@@ -335,7 +335,8 @@ def find_spans(docs: DataFrame) -> DataFrame:
     spans = rows.join(found_spans(docs), list(TEXT), "left")
     none = F.expr("CAST(array() AS array<struct<start:int,kind:int,end:int>>)")
     spans = spans.withColumns({c: F.coalesce(c, none) for c in ("base", "spans")})
-    counts = [F.size(F.filter("base", lambda c, k=k: c["kind"] == k)).cast("bigint").alias(f"n_{n}") for k, n in enumerate(KINDS)]
+    # As SQL: of a Python function with a second parameter Spark would make the place in the array that one.
+    counts = [F.expr(f"CAST(size(filter(base, s -> s.kind = {k})) AS bigint)").alias(f"n_{n}") for k, n in enumerate(KINDS)]
     return spans.select("doc_id", *counts, _listed("base").alias("base_spans"), F.sha2(_listed("base"), 256).alias("base_sha256"), _listed("spans").alias("spans"), (F.size("spans") - F.size("base")).alias("n_added"))
 
 

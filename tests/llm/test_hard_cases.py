@@ -152,6 +152,14 @@ def test_trees_add_written_out_personal_data(spark):
     assert redacted[1000] == "write to <EMAIL> or wait" and all(redacted[i] == t for i, t in clean.items())
 
 
+def test_numbers_of_personal_data_are_those_of_their_own_kind(spark):
+    mail, ip, card, phone = "x@y.org", "1.2.3.4", "4111-1111-1111-1111", "+1 (555) 123-4567"
+    texts = [f"{card} {mail}", f"{phone}; {phone}", f"{ip}, {ip}, {ip}", f"{mail}; {phone}; {card}; {ip}; {card}", "none", None, f"{card}"]
+    df = spark.createDataFrame(list(enumerate(texts)), "doc_id bigint, text string")
+    got = {r["doc_id"]: (r["n_email"], r["n_ip"], r["n_card"], r["n_phone"]) for r in personaldata.find_spans(df).collect()}
+    assert [got[i] for i in range(len(texts))] == [(1, 0, 1, 0), (0, 0, 0, 2), (0, 3, 0, 0), (1, 1, 2, 1), (0, 0, 0, 0), (0, 0, 0, 0), (0, 0, 1, 0)]
+
+
 def test_personal_data_of_a_long_text_of_numbers(spark):
     text = "".join(f"x{i}12,34;" for i in range(90_000)) + " a@b.cd 1.2.3.4 1.2.3.400"
     df = spark.createDataFrame([(1, text), (2, text), (3, "🙂" * 20_000 + " a@b.cd")], "doc_id bigint, text string")
