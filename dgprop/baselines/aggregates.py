@@ -2,7 +2,9 @@
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame, Window
+from collections.abc import Callable
+
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from dgprop.functions.hashing import hash32
@@ -56,37 +58,98 @@ def time_encoding(age_us, n: int, hour_us: float = 3.6e9):
     return F.array(*[F.cos(age_us / hour_us / 10.0**i) for i in range(n)])
 
 
+#: A node's draws have their least below so many times its mean, but for one walk in exp(20); those are looked for again.
+LEAST = 20.0
+#: Edges of a node that meet walks in one block, about.
+BLOCK_EDGES = 4096
+
+
+def _in_blocks(edges: DataFrame, *sums: Column) -> tuple[DataFrame, DataFrame]:
+    """Edges with their ``block`` and the sums over their node, and each node's number of blocks: no task has to hold a whole hub."""
+    sizes = cut(edges.groupBy("src").agg(F.ceil(F.count("*") / BLOCK_EDGES).cast("int").alias("blocks"), *sums))
+    block = F.pmod(F.xxhash64(*edges.columns), F.col("blocks")).cast("int")
+    return cut(edges.join(sizes, "src").withColumn("block", block).drop("blocks").repartition("src", "block")), sizes.select(F.col("src").alias("node"), "blocks")
+
+
+def _least_of(now: DataFrame, blocks: DataFrame, keys: list[str], met: Callable[[DataFrame, float | None], DataFrame]) -> DataFrame:
+    """For each walk the ``b`` that is least among all edges of its node.
+
+    ``met`` gives the keys, ``b`` and ``sure``, for the edges whose draw is small; only
+    where the least of these isn't sure to be the least of all, it is asked for more, at last for all.
+    """
+    out, left = None, now
+    for share in (LEAST, 32 * LEAST, None):
+        at = left.join(blocks, "node").withColumn("block", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1))).drop("blocks")
+        best = cut(met(at, share).groupBy(*keys).agg(F.min("b").alias("b"), F.max("sure").alias("sure")))
+        found = best.filter("sure").select(*keys, "b")
+        out = found if out is None else out.unionByName(found)
+        left = cut(left.join(found, keys, "left_anti"))
+        if left.isEmpty():
+            break
+    return out
+
+
 def walks(edges: DataFrame, starts: DataFrame, length: int, repeats: int, seed: int, p: float = 1.0, q: float = 1.0) -> DataFrame:
     """start, rep, pos, node of random walks; the next node has the least -log(u) / weight, with u by hash.
 
     ``p`` divides the weight of going back, ``q`` that of nodes that are no neighbours of the one before.
+    The draws of a node's edges are exponential, so the least one is below a small
+    multiple of one over the node's weight: of the edges only those whose hash leaves room for that are kept.
     """
-    adj = cut(edges.select("src", "dst", "w").repartition("src"))
+    low, high = min(1.0, 1 / p, 1 / q), max(1.0, 1 / p, 1 / q)
+    adj, blocks = _in_blocks(edges.select("src", "dst", "w"), F.sum("w").alias("total"))
     now = starts.select(F.col("node").alias("start"), F.explode(F.sequence(F.lit(0), F.lit(repeats - 1))).alias("rep"), F.col("node"), F.lit(None).cast("bigint").alias("prev"))
     out = now.select("start", "rep", F.lit(0).alias("pos"), "node")
-    for pos in range(1, length + 1):
-        steps = now.join(adj, F.col("node") == F.col("src")).select("start", "rep", "node", "prev", "dst", "w")
+
+    def met(at: DataFrame, share: float | None, pos: int) -> DataFrame:
+        at = at.withColumn("drawn", F.concat(F.concat_ws(":", F.lit(str(seed)), F.col("start"), F.col("rep"), F.lit(pos)), F.lit(":")))
+        near_ones = adj.select(F.col("src").alias("node"), "block", "dst", "w", "total", F.col("dst").cast("string").alias("text"))
+        if share is not None:
+            # The least hash, in hexadecimal digits, of a draw that may be below the multiple, at the greatest of weights.
+            least = F.floor(F.exp(F.col("w") / F.col("total") * (-share * high / low)) * 4294967297.0) - 2
+            near_ones = near_ones.withColumn("least", F.lpad(F.lower(F.hex(F.greatest(least, F.lit(0)))), 8, "0"))
+        digest = F.md5(F.concat("drawn", "text"))
+        steps = at.join(near_ones, ["node", "block"])
+        if share is not None:
+            steps = steps.filter(digest >= F.col("least"))
+        steps = steps.select("start", "rep", "node", "prev", "dst", "w", "total", F.conv(F.substring(digest, 1, 8), 16, 10).cast("bigint").alias("h"))
+        w = F.col("w")
         if p != 1.0 or q != 1.0:
             near = adj.select(F.col("src").alias("prev"), "dst", F.lit(True).alias("near"))
             steps = steps.join(near, ["prev", "dst"], "left")
             w = F.when(F.col("prev").isNull(), F.col("w")).when(F.col("dst") == F.col("prev"), F.col("w") / p).when(F.col("near"), F.col("w")).otherwise(F.col("w") / q)
-        else:
-            w = F.col("w")
-        u = (hash32(seed, F.col("start"), F.col("rep"), F.lit(pos), F.col("dst")) + 1) / F.lit(4294967297.0)
-        best = steps.groupBy("start", "rep").agg(F.min(F.struct((-F.log(u) / w).alias("key"), "dst", "node")).alias("b"))
-        now = cut(best.select("start", "rep", F.col("b.dst").alias("node"), F.col("b.node").alias("prev")))
+        u = (F.col("h") + 1) / F.lit(4294967297.0)
+        key = -F.log(u) / w
+        sure = F.lit(True) if share is None else key * F.col("total") * low <= share * (1 - 1e-9)
+        return steps.select("start", "rep", F.struct(key.alias("key"), "dst", "node").alias("b"), sure.alias("sure"))
+
+    for pos in range(1, length + 1):
+        best = _least_of(now, blocks, ["start", "rep"], lambda at, share, pos=pos: met(at, share, pos))
+        now = best.select("start", "rep", F.col("b.dst").alias("node"), F.col("b.node").alias("prev"))
         out = out.unionByName(now.select("start", "rep", F.lit(pos).alias("pos"), "node"))
     return out
 
 
 def temporal_walks(events: DataFrame, starts: DataFrame, length: int, seed: int) -> DataFrame:
-    """Walks over events whose times rise: start, pos, node, ts_us. ``events`` holds both directions."""
+    """Walks over events whose times rise: start, pos, node, ts_us. ``events`` holds both directions.
+
+    The next event has the least hash; of a node's many events only those of a small hash are kept.
+    """
+    both, blocks = _in_blocks(events.select("src", "dst", "ts_us"), F.count("*").alias("n"))
     now = starts.select(F.col("node").alias("start"), "node", F.lit(-1).cast("bigint").alias("at"))
     out = now.select("start", F.lit(0).alias("pos"), "node", F.col("at").alias("ts_us"))
+
+    def met(at: DataFrame, share: float | None, pos: int) -> DataFrame:
+        at = at.withColumn("drawn", F.concat(F.concat_ws(":", F.lit(str(seed)), F.col("start"), F.lit(pos)), F.lit(":")))
+        most = F.when(F.col("n") > share, F.lpad(F.lower(F.hex(F.floor(F.lit(4294967296.0 * share) / F.col("n")))), 8, "0")).otherwise("g") if share is not None else F.lit("g")
+        near_ones = both.select(F.col("src").alias("node"), "block", "dst", "ts_us", F.concat_ws(":", "dst", "ts_us").alias("text"), most.alias("most"))
+        digest = F.md5(F.concat("drawn", "text"))
+        steps = at.join(near_ones, ["node", "block"]).filter("ts_us > at").filter(digest < F.col("most"))
+        return steps.select("start", F.struct(F.conv(F.substring(digest, 1, 8), 16, 10).cast("bigint").alias("key"), "dst", "ts_us").alias("b"), F.lit(True).alias("sure"))
+
     for pos in range(1, length + 1):
-        steps = now.join(events.select(F.col("src").alias("node"), "dst", "ts_us"), "node").filter("ts_us > at")
-        best = steps.groupBy("start").agg(F.min(F.struct(hash32(seed, F.col("start"), F.lit(pos), F.col("dst"), F.col("ts_us")).alias("key"), "dst", "ts_us")).alias("b"))
-        now = cut(best.select("start", F.col("b.dst").alias("node"), F.col("b.ts_us").alias("at")))
+        best = _least_of(now, blocks, ["start"], lambda at, share, pos=pos: met(at, share, pos))
+        now = best.select("start", F.col("b.dst").alias("node"), F.col("b.ts_us").alias("at"))
         out = out.unionByName(now.select("start", F.lit(pos).alias("pos"), "node", F.col("at").alias("ts_us")))
     return out
 
