@@ -40,3 +40,37 @@ def test_normalise_and_check(spark):
         check(df, "u int")
     with pytest.raises(ValueError):
         check(df, "missing bigint")
+
+
+def test_nearest_vectors_on_copies_zero_and_null_vectors(spark, tmp_path, monkeypatch):
+    """As in SQL, in blocks smaller than the table: copies, near ones, vectors without a direction, null ones, repeated ids; more copies than are asked for."""
+    import duckdb
+    import numpy as np
+
+    from dgprop.sources import tables as T
+    from dgprop.workloads import load
+
+    rng = np.random.default_rng(5)
+    rows = [(i, rng.integers(-3, 4, 8).astype(float).tolist()) for i in range(120)]
+    rows += [(200 + i, rows[7][1]) for i in range(9)] + [(300 + i, [x * 2 for x in rows[9][1]]) for i in range(9)]
+    rows += [(400 + i, None) for i in range(3)] + [(500, [0.0] * 8), (501, [0.0] * 8), (7, rows[7][1]), (8, rows[30][1])]
+    spark.createDataFrame(rows, "vec_id bigint, embedding array<float>").write.parquet(str(tmp_path / "embeddings.parquet"))
+    monkeypatch.setattr(T, "LOOKING", 16)
+    monkeypatch.setattr(T, "SEEN", 32)
+    monkeypatch.setattr(T, "AT_ONCE", 5)
+    got = sorted(tuple(r) for r in T.nearest_vectors(spark, str(tmp_path)).collect())
+    duckdb.sql(f"CREATE OR REPLACE VIEW embeddings AS SELECT * FROM '{tmp_path}/embeddings.parquet/*.parquet'")
+    assert got == sorted(duckdb.sql(load()[1]["gr_knn_edges"]).fetchall())
+
+
+def test_nearest_vectors_multiply_blocks(spark, tmp_path):
+    """Blocks of vectors go through arrays: no row for each pair of vectors, of which a table of this size has nine millions."""
+    import numpy as np
+
+    from dgprop.sources import tables as T
+
+    e = np.random.default_rng(6).normal(size=(3_000, 4))
+    spark.createDataFrame([(i, x) for i, x in enumerate(e.tolist())], "vec_id bigint, embedding array<float>").write.parquet(str(tmp_path / "embeddings.parquet"))
+    df = T.nearest_vectors(spark, str(tmp_path))
+    assert df.count() == 15_000
+    assert "zip_with" not in plan_text(df)
