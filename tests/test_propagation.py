@@ -187,6 +187,24 @@ def test_over_deleted_edges_are_refused(spark):
     assert sorted((r["step"], r["dw"]) for r in refused.collect()) == [(1, -1.0), (3, -3.0)]
 
 
+def test_filters_share_one_loop(spark, example, sf, monkeypatch):
+    """Series of filters with different powers of the degree are those of each for itself; the query of the bound pushes all at once."""
+    from dgprop.operators.graph import mirrored, weighted
+    from dgprop.workloads import load
+
+    _, x = example
+    e = cut(weighted(mirrored(spark.createDataFrame([(1, 5, 1.0), (2, 4, 2.0), (1, 4, 1.0), (3, 4, 0.5)], "src bigint, dst bigint, w double"))))
+    specs = [LOW, HIGH, FilterSpec.power(0.5, 0.3), FilterSpec.neg_power(0.5)]
+    read = lambda df: {r["node"]: r["z"] for r in df.collect()}
+    for spec, z in zip(specs, pr.series_filters(e, x, specs, 12, 1), strict=True):
+        alone, got = read(pr.series_filter(e, x, spec.gammas(12), spec.beta, 1 - spec.beta, 1)), read(z)
+        assert got.keys() == alone.keys() and all(abs(got[n][0] - alone[n][0]) < 1e-12 for n in got)
+    loops, push = [], pr.push
+    monkeypatch.setattr(pr, "push", lambda *args: loops.append(args) or push(*args))
+    got = sorted(tuple(r) for r in load()[0]["pr_error_within_bound"](spark, sf).collect())
+    assert got == [("high", 1, 1), ("low", 1, 1), ("neg_power", 1, 1), ("power", 1, 1)] and len(loops) == 1
+
+
 def test_a_round_has_one_exchange(spark, example):
     deltas, x = example
     e = graph_at(deltas, 5)
