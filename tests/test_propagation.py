@@ -8,7 +8,8 @@ import pytest
 from dgprop.operators import propagate as pr
 from dgprop.operators.filters import FilterSpec
 from dgprop.operators.graph import clamp_deltas, graph_at, net_deltas, snapshot_diff
-from dgprop.operators.kernel import LocalGraph
+from dgprop.operators import timeline
+from dgprop.operators.kernel import Flow, LocalGraph
 from dgprop.operators.timeline import run_timeline
 from dgprop.operators.update import repair, repair_pull
 from dgprop.plans.lineage import count_exchanges, cut, fixed_plans, plan_text
@@ -248,3 +249,34 @@ def test_an_edge_that_is_used_up_starts_anew_in_the_same_batch():
     assert g.weight == {(0, 1): 3.0, (1, 0): 3.0}
     g.apply(np.array([0, 1, 0, 1, 1, 2]), np.array([1, 0, 1, 0, 2, 1]), np.array([-4.0, -4.0, 1.0, 1.0, 5.0, 5.0]))
     assert g.weight == {(0, 1): 1.0, (1, 0): 1.0, (1, 2): 5.0, (2, 1): 5.0}
+
+
+def test_products_over_hubs_give_the_plain_sums():
+    """A star, a ring and a one-way edge: hubs' edges go through products, the others one by one."""
+    rng, n = np.random.default_rng(1), 300
+    pairs = {(0, i) for i in range(1, 200)} | {(i, 0) for i in range(1, 200)} | {(1, i) for i in range(2, 150)} | {(i, 1) for i in range(2, 150)} | {(i, (i + 1) % n) for i in range(2, n)}
+    src, dst = (np.array(v) for v in zip(*sorted(pairs), strict=True))
+    w = rng.uniform(0.5, 2, len(src))
+    flow = Flow(n, src, dst, w)
+    assert flow.hubs.tolist() == [0, 1]
+    for active in (np.arange(n), np.array([5, 250])):
+        values = np.zeros((n, 3))
+        values[active] = rng.normal(size=(len(active), 3))
+        want = np.zeros((n, 3))
+        np.add.at(want, dst, w[:, None] * values[src])
+        assert flow.sums(values, active) == pytest.approx(want, abs=1e-12)
+
+
+@pytest.mark.parametrize("strategy", ["incremental", "recompute", "auto"])
+def test_columns_in_tasks_of_their_own_give_the_same_rows(spark, monkeypatch, strategy):
+    edges = [(s, a, b) for s in range(4) for a, b in ((s, s + 1), (s, 7), (7, 8))]
+    deltas = spark.createDataFrame([(s, x, y, 1.0) for s, a, b in edges for x, y in ((a, b), (b, a))], "step int, src bigint, dst bigint, dw double")
+    x = spark.createDataFrame([(i, [float(i % 3) - 1, float(i % 4) - 1]) for i in range(9)], "node bigint, x array<double>")
+    for emit in ("all", "changed", "last"):
+        got = []
+        for limit in (1000, 0):
+            monkeypatch.setattr(timeline, "SPLIT_EDGES", limit)
+            monkeypatch.setattr(timeline, "CHUNK_CELLS", 40 if limit == 0 else 4_000_000)
+            got.append(sorted(run_timeline(deltas, x, [LOW, HIGH], 1e-6, 2, strategy, emit, local=True).representations.collect()))
+        assert got[0] == got[1] and got[0]
+        assert len({(r["step"], r["node"]) for r in got[0]}) == len(got[0])
